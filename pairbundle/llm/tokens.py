@@ -1,19 +1,29 @@
-"""Exact tokenisation of whole texts through their distinct chunks.
+"""Exact tokenisation of whole texts through their distinct pieces.
 
-A text may be cut before an ASCII space that stands between two characters other than white space: pre-tokenisers of the two
-vocabularies used here never form a piece across such a place. So the ids of a text are the ids of its chunks in order, and each
-distinct chunk of a batch goes through the tokenizers library once. Texts with runs of white space keep those runs inside one chunk.
+Both vocabularies used here split a text into pieces by a fixed pattern and encode every piece on its own. For texts in which all
+characters are plain (printable ASCII, tab, line ends and the letters of Latin-1), Python's ``re`` states the same pattern, so the ids
+of a text are those of its pieces in order, and each distinct piece goes through the tokenizers library once and is remembered. A text
+with any other character is encoded as a whole by the library.
 """
 
 from __future__ import annotations
 
 import itertools
 import os
+import re
 
 import numpy as np
 
 from pairbundle.llm.common import worker_store
 
+#: Letters of Latin-1 and, as bytes, the characters of plain texts.
+LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
+PLAIN = bytes([9, 10, 13, *range(32, 127), *(c for c in range(0xC0, 0x100) if c not in (0xD7, 0xF7))])
+
+#: The two vocabularies' patterns for plain texts. Alternatives that cannot start alike stand in order of frequency.
+SPACED = rf" ?[{LETTERS}]+| ?[0-9]+|'(?:s|t|re|ve|m|ll|d)| ?[^\s{LETTERS}0-9]+|\s+(?!\S)|\s+"
+LOWERED = rf"[{LETTERS}]+|[0-9]|'(?:s|t|re|ve|m|ll|d)|[^\s{LETTERS}0-9]+"
+
 
 def tokenizer_path(name: str) -> str:
     import public_tokenizers
@@ -29,22 +39,19 @@ class _Index(dict):
         return n
 
 
-def _safe_chunks(pieces: list[str]) -> list[str]:
-    """Joins the pieces of split(' ') again wherever a cut could change the pieces of the pre-tokeniser."""
-    out = [pieces[0]]
-    for piece in pieces[1:]:
-        before = out[-1]
-        if before and piece and not before[-1].isspace() and not piece[0].isspace():
-            out.append(piece)
-        else:
-            out[-1] = f"{before} {piece}"
-    return out
+def is_plain(text: str) -> bool:
+    try:
+        return not text.encode("latin-1").translate(None, PLAIN)
+    except UnicodeEncodeError:
+        return False
+
 
+class PieceEncoder:
+    """Encodes batches of texts; keeps the ids of about ``limit`` distinct pieces between batches.
 
-class ChunkEncoder:
-    """Encodes batches of texts; keeps ids of at most ``limit`` distinct chunks between batches."""
+    ``path`` is a vocabulary with byte-level pieces that keep their leading space, or one of lowered pieces with word ends."""
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = 600_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -52,15 +59,11 @@ class ChunkEncoder:
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.limit = limit
         vocab = self.tokenizer.get_vocab()
-        begins = np.zeros(max(vocab.values()) + 1, bool)
-        begins[[i for token, i in vocab.items() if token.startswith("\u0120")]] = True
-        if self.tokenizer.encode(" a b", add_special_tokens=False).ids == [vocab.get("\u0120a"), vocab.get("\u0120b")]:
-            self.begins, self.glue, self.sign = begins, " ", "\0\0"  # the space before a chunk is part of its first id
-        else:
-            self.begins = None
-            self.sign = next(c for c in "\u00b6\u00a7\u00a4\u2020\u00a9|" if len(self.tokenizer.encode(c, add_special_tokens=False).ids) == 1)
-            self.mark = self.tokenizer.encode(self.sign, add_special_tokens=False).ids[0]
-            self.glue = f" {self.sign} "
+        self.lowered = any(token.endswith("</w>") for token in vocab)
+        self.find = re.compile(LOWERED if self.lowered else SPACED).findall
+        self.edge = np.zeros(max(vocab.values()) + 1, bool)  # ids that end, or begin, a piece
+        self.edge[[i for token, i in vocab.items() if (token.endswith("</w>") if self.lowered else token.startswith("Ġ"))]] = True
+        self.line = vocab.get("Ċ")
         self._reset()
 
     def _reset(self) -> None:
@@ -70,47 +73,44 @@ class ChunkEncoder:
         self.used = 0
         self.starts = np.zeros(1 << 16, np.int64)
         self.sizes = np.zeros(1 << 16, np.int64)
-        self.loose = np.zeros(1 << 16, bool)
-
-    def _split(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and their number for each word, each word on its own."""
-        counts, flat = [np.zeros(0, np.int64)], [np.zeros(0, np.uint32)]
-        lists = [words[b : b + 1024] for b in range(0, len(words), 1024)]
-        for part, enc in zip(lists, self.tokenizer.encode_batch(lists, is_pretokenized=True, add_special_tokens=False)):
-            flat.append(np.array(enc.ids, np.uint32))
-            counts.append(np.bincount(np.array(enc.word_ids, np.int64), minlength=len(part)) if enc.ids else np.zeros(len(part), np.int64))
-        return np.concatenate(flat), np.concatenate(counts)
 
-    def _joined(self, keys: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """The same for chunks without white space at their ends, encoded as long texts and cut where a chunk begins."""
-        lists = [keys[b : b + 1024] for b in range(0, len(keys), 1024)]
-        texts = [self.glue.join(["", *part]) if self.begins is not None else self.glue.join([*part, ""]) for part in lists]
+    def _alone(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids, and their number for each piece, one piece at a time."""
+        found = [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+        return np.concatenate([np.zeros(0, np.uint32), *found]), np.array([len(f) for f in found], np.int64)
+
+    def _together(self, pieces: list[str], joined, sizes) -> tuple[np.ndarray, np.ndarray]:
+        """The same through texts that hold many pieces; ``sizes`` finds the pieces among a text's ids again."""
+        parts = [pieces[a : a + 1024] for a in range(0, len(pieces), 1024)]
         flat, counts = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)]
-        for part, enc in zip(lists, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)):
-            ids = np.array(enc.ids, np.uint32)
-            if self.begins is not None:
-                n = np.diff(np.flatnonzero(self.begins[ids]), append=len(ids))
-            else:
-                mark = ids == self.mark
-                n = np.diff(np.flatnonzero(mark), prepend=-1) - 1
-                ids = ids[~mark]
+        for part, enc in zip(parts, self.tokenizer.encode_batch_fast([joined(p) for p in parts], add_special_tokens=False)):
+            ids, n = sizes(np.array(enc.ids, np.uint32))
             if len(n) != len(part):
-                ids, n = self._split([" " + k for k in part])
+                ids, n = self._alone(part)
             flat.append(ids)
             counts.append(n)
         return np.concatenate(flat), np.concatenate(counts)
 
     def _learn(self) -> None:
-        """Encodes the keys that are new since the last call. A key with a leading space is a text's first chunk."""
+        """Encodes the pieces that are new since the last call."""
         keys = list(itertools.islice(reversed(self.index), len(self.index) - self.known))
         keys.reverse()
         while len(self.starts) < len(self.index):
-            for name in ("starts", "sizes", "loose"):
-                old = getattr(self, name)
-                setattr(self, name, np.concatenate([old, np.zeros_like(old)]))
-        loose = np.array([not k or k[-1].isspace() or (k[0].isspace() and (k[0] != " " or len(k) == 1)) for k in keys], bool)
-        alone = np.array([x or k[0] == " " or self.sign in k or " " in k for k, x in zip(keys, loose)], bool)
-        for which, encode in ((alone, lambda part: self._split([k[1:] if k[:1] == " " else " " + k for k in part])), (~alone, self._joined)):
+            self.starts, self.sizes = (np.concatenate([a, np.zeros_like(a)]) for a in (self.starts, self.sizes))
+        if self.lowered:
+            ends = lambda ids: (ids, np.diff(np.flatnonzero(self.edge[ids]), prepend=-1))
+            kinds = [(np.ones(len(keys), bool), lambda p: self._together(p, " ".join, ends))]
+        else:
+            blank = np.fromiter(map(str.isspace, keys), bool, len(keys))
+            spaced = np.fromiter((k[0] == " " for k in keys), bool, len(keys)) & ~blank
+            begins = lambda ids: (ids, np.diff(np.flatnonzero(self.edge[ids]), append=len(ids)))
+
+            def lines(ids):
+                mark = ids == self.line
+                return ids[~mark], np.diff(np.flatnonzero(mark), prepend=-1) - 1
+
+            kinds = [(spaced, lambda p: self._together(p, "".join, begins)), (~spaced & ~blank, lambda p: self._together(p, lambda q: "\n".join([*q, ""]), lines)), (blank, self._alone)]
+        for which, encode in kinds:
             at = np.flatnonzero(which)
             flat, counts = encode([keys[k] for k in at])
             while self.used + len(flat) > len(self.ids):
@@ -119,47 +119,41 @@ class ChunkEncoder:
             self.sizes[self.known + at] = counts
             self.starts[self.known + at] = self.used + np.cumsum(counts) - counts
             self.used += len(flat)
-        self.loose[self.known : self.known + len(keys)] = loose
         self.known += len(keys)
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """The ids of all texts, one after another, and the number of ids of each text."""
         if len(self.index) > self.limit:
             self._reset()
-        get, rows, sizes = self.index.__getitem__, [], []
-        for text in texts:
-            pieces = text.split(" ")
-            pieces[0] = " " + pieces[0]
-            row = list(map(get, pieces))
-            rows.append(np.array(row, np.int64))
-            sizes.append(len(row))
+        get, find, rows, whole = self.index.__getitem__, self.find, [], []
+        for k, text in enumerate(texts):
+            if is_plain(text):
+                rows.append(np.fromiter(map(get, find(text.lower() if self.lowered else text)), np.int32))
+            else:
+                rows.append(np.zeros(0, np.int32))
+                whole.append(k)
         self._learn()
-        redo = []
-        for k, row in enumerate(rows):
-            if len(row) > 1 and self.loose[row].any():
-                redo.append(k)
-        for k in redo:
-            chunks = _safe_chunks(texts[k].split(" "))
-            chunks[0] = " " + chunks[0]
-            rows[k] = np.array(list(map(get, chunks)), np.int64)
-            sizes[k] = len(rows[k])
-        if redo:
-            self._learn()
-        flat = np.concatenate(rows) if rows else np.zeros(0, np.int64)
+        flat = np.concatenate(rows) if rows else np.zeros(0, np.int32)
         lengths = self.sizes[flat]
         ends = np.cumsum(lengths)
         total = int(ends[-1]) if len(ends) else 0
         ids = self.ids[np.repeat(self.starts[flat] - (ends - lengths), lengths) + np.arange(total)] if total else np.zeros(0, np.uint32)
-        edge = np.cumsum(np.array(sizes, np.int64))
-        upto = np.concatenate([[0], ends])[edge] if len(edge) else np.zeros(0, np.int64)
-        return ids, np.diff(upto, prepend=0)
-
-
-def encoder(path: str) -> ChunkEncoder:
+        upto = np.concatenate([[0], ends])[np.cumsum([len(r) for r in rows])] if rows else np.zeros(0, np.int64)
+        n = np.diff(upto, prepend=0)
+        if whole:
+            parts = np.split(ids, upto[:-1])
+            for k, enc in zip(whole, self.tokenizer.encode_batch_fast([texts[k] for k in whole], add_special_tokens=False)):
+                parts[k] = np.array(enc.ids, np.uint32)
+                n[k] = len(parts[k])
+            ids = np.concatenate(parts)
+        return ids, n
+
+
+def encoder(path: str) -> PieceEncoder:
     """One encoder for each Python worker and vocabulary."""
     store = worker_store()
     if path not in store:
-        store[path] = ChunkEncoder(path)
+        store[path] = PieceEncoder(path)
     return store[path]
 
 
