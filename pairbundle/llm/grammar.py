@@ -28,8 +28,11 @@ MAGIC = b"RPGS"
 VERSION = 1
 HEADER = "<4sIIQQQQ"
 
+#: Pairs are counted in 2 ** SLOT_BITS slots of a hash.
+SLOT_BITS = 18
 
-def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5, per_round: int = 8192, min_count: int = 6):
+
+def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5, per_round: int = 8192, min_count: int = 8):
     """Replaces frequent pairs by nonterminals. ``last`` marks each document's final id.
 
     Returns the remaining symbols, their ``last`` marks and the rules, an array of pairs; rule k is symbol ``first_symbol + k``."""
@@ -37,22 +40,27 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5
     for _ in range(rounds):
         if len(seq) < 2:
             break
-        key = (seq[:-1].astype(np.uint64) << np.uint64(32)) | seq[1:]
-        slot = ((key * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(44)).astype(np.int32)
-        slot[last[:-1]] = 1 << 20
-        counts = np.bincount(slot, minlength=(1 << 20) + 1)
-        counts[1 << 20] = 0
-        floor = max(min_count, int(np.partition(counts, -per_round)[-per_round]))
-        at = np.flatnonzero((counts >= floor)[slot])  # a pair counts no more than its slot
-        pairs, back, n = np.unique(key[at], return_inverse=True, return_counts=True)
-        chosen = np.flatnonzero(n >= min_count)
-        if len(chosen) > per_round:
-            chosen = np.sort(chosen[np.argsort(-n[chosen], kind="stable")[:per_round]])
+        key = seq[:-1].astype(np.uint64)
+        key <<= np.uint64(32)
+        key |= seq[1:]
+        slot = ((key * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOT_BITS)).astype(np.int32)
+        slot[last[:-1]] = 1 << SLOT_BITS
+        total_in = np.bincount(slot, minlength=(1 << SLOT_BITS) + 1)
+        total_in[-1] = 0  # pairs across a document's end
+        floor = max(min_count, int(np.partition(total_in, -per_round)[-per_round]))
+        at = np.flatnonzero((total_in >= floor)[slot])
+        slots, keys = slot[at], key[at]
+        stands = np.zeros(len(total_in), np.uint64)
+        stands[slots] = keys  # one pair of each full slot; others in it wait for a later round
+        own = stands[slots] == keys
+        at, slots = at[own], slots[own]
+        n = np.bincount(slots, minlength=len(total_in))
+        chosen = np.flatnonzero(n >= floor)
         if not len(chosen):
             break
-        symbol = np.zeros(len(pairs), np.uint32)
+        symbol = np.zeros(len(total_in), np.uint32)
         symbol[chosen] = first_symbol + total + np.arange(len(chosen), dtype=np.uint32)
-        to = symbol[back]
+        to = symbol[slots]
         at, to = at[to > 0], to[to > 0]
         opens = np.diff(at, prepend=-2) != 1  # occurrences that overlap form runs: every other one stays
         run = at[np.maximum.accumulate(np.where(opens, np.arange(len(at)), 0))]
@@ -63,7 +71,7 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5
         keep = np.ones(len(seq), bool)
         keep[at + 1] = False
         seq, last = seq[keep], last[keep]
-        rules.append(np.stack([pairs[chosen] >> np.uint64(32), pairs[chosen] & np.uint64(0xFFFFFFFF)], 1).astype(np.uint32))
+        rules.append(np.stack([stands[chosen] >> np.uint64(32), stands[chosen] & np.uint64(0xFFFFFFFF)], 1).astype(np.uint32))
         total += len(chosen)
     return seq, last, np.concatenate(rules)
 
