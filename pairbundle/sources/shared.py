@@ -25,9 +25,13 @@ def shared_path(spark: SparkSession, label: str) -> str:
     return f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
 
 
-def staged(df: DataFrame, label: str) -> DataFrame:
-    """Write a table to the shared folder and read it again: cuts lineage and survives the loss of executors."""
+def staged(df: DataFrame, label: str, narrow: bool = False) -> DataFrame:
+    """Write a table to the shared folder and read it again: cuts lineage and survives the loss of executors.
+
+    ``narrow`` is for tables of a few columns that come out of a shuffle: tasks then write few files, some for each core of the
+    cluster, instead of one for each shuffle partition."""
     spark = df.sparkSession
     path = shared_path(spark, label)
-    df.write.parquet(path)
+    out = df.coalesce(3 * spark.sparkContext.defaultParallelism) if narrow else df
+    out.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
