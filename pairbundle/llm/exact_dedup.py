@@ -34,7 +34,7 @@ def name_blocks(cut: DataFrame, hashes=block_hashes) -> DataFrame:
     lexicon = staged(named(cut, ["one", "two", "block"], "blocks").select("one", "two", "name"), "block-names")
     names = lexicon.groupBy("one", "two").agg(F.min("name").alias("name"), F.count("*").alias("contents"))
     found = cut.select("doc", "txt", "pos", "blocks", "one", "two").join(names, ["one", "two"]).select("doc", "txt", "pos", "blocks", "name")
-    shared = staged(names.where("contents > 1").select("one", "two"), "shared-hashes")
+    shared = staged(names.where("contents > 1").select("one", "two"), "shared-hashes", narrow=True)
     if shared.isEmpty():
         return found
     apart = cut.join(shared, ["one", "two"], "left_semi")
@@ -49,7 +49,7 @@ def identities(texts: DataFrame, block_bytes: int = 4096, hashes=block_hashes) -
     count = F.greatest(F.lit(1), F.ceil(F.length("data") / block_bytes)).cast("int")
     parts = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.substring(F.col("data"), k * block_bytes + 1, F.lit(block_bytes)))
     cut = texts.withColumn("blocks", count).select("doc", "txt", "blocks", F.posexplode(parts).alias("pos", "block"))
-    now = staged(name_blocks(cut, hashes), "names")
+    now = staged(name_blocks(cut, hashes), "names", narrow=True)
     done, width = now.where("blocks = 1").select("doc", "txt", "blocks", "name"), now.agg(F.max("blocks")).first()[0] or 1
     out, reach = [done], 1
     now = now.where("blocks > 1")
@@ -57,8 +57,8 @@ def identities(texts: DataFrame, block_bytes: int = 4096, hashes=block_hashes) -
         reach *= 2
         even = F.pmod("pos", F.lit(2)) == 0
         paired = now.groupBy("doc", "txt", "blocks", F.floor(F.col("pos") / 2).cast("int").alias("pos")).agg(F.max(F.when(even, F.col("name"))).alias("a"), F.coalesce(F.max(F.when(~even, F.col("name"))), F.lit(-(2**63))).alias("b"))
-        paired = staged(paired, "pairs")
-        now = staged(paired.join(named(paired, ["a", "b"], "pairs"), ["a", "b"]).select("doc", "txt", "pos", "blocks", "name"), "names")
+        paired = staged(paired, "pairs", narrow=True)
+        now = staged(paired.join(named(paired, ["a", "b"], "pairs"), ["a", "b"]).select("doc", "txt", "pos", "blocks", "name"), "names", narrow=True)
         out.append(now.where((F.col("blocks") <= reach) & (F.col("blocks") > reach // 2)).select("doc", "txt", "blocks", "name"))
         now = now.where(F.col("blocks") > reach)
     whole = out[0]
@@ -73,7 +73,7 @@ def exact_groups(docs: DataFrame, block_bytes: int = 4096, **options) -> DataFra
     key = [F.coalesce("doc_id", F.lit(-(2**63))).alias("doc"), F.xxhash64("text").alias("txt")]
     names = identities(rows.select(*key, F.col("text").cast("binary").alias("data")), block_bytes, **options)
     light = rows.select(*key, "doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
-    marked = staged(light.join(names, ["doc", "txt"]).drop("doc", "txt"), "identities")
+    marked = staged(light.join(names, ["doc", "txt"]).drop("doc", "txt"), "identities", narrow=True)
     groups = marked.groupBy("blocks", "name").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
     return marked.join(groups, ["blocks", "name"]).select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
 

@@ -177,10 +177,10 @@ def media_columns(docs: DataFrame, width: int = 576) -> DataFrame:
     key = [F.xxhash64("text").alias("one"), F.xxhash64(F.lit(1), "text", F.length("text")).alias("two")]
     keyed = rows.select("doc_id", *key)
     first = keyed.groupBy("one", "two").agg(F.min("doc_id").alias("doc_id"), F.max(F.col("doc_id").isNull()).alias("bare"))
-    writers = staged(first.where("doc_id IS NOT NULL").select("one", "two", "doc_id"), "media-writers")
+    writers = staged(first.where("doc_id IS NOT NULL").select("one", "two", "doc_id"), "media-writers", narrow=True)
     texts = rows.select("doc_id", *key, F.col("text").cast("binary").alias("text"))
     payloads = texts.join(writers, ["doc_id", "one", "two"], "left_semi").select("one", "two", "text")
-    bare = staged(first.where("doc_id IS NULL").select("one", "two"), "media-bare")
+    bare = staged(first.where("doc_id IS NULL").select("one", "two"), "media-bare", narrow=True)
     if not bare.isEmpty():  # contents of rows without a doc_id only
         payloads = payloads.union(texts.where("doc_id IS NULL").join(bare, ["one", "two"], "left_semi").dropDuplicates(["one", "two"]).select("one", "two", "text"))
     index = staged(write_members(payloads, root, width), "media-index")

@@ -71,7 +71,7 @@ def schedule(docs: DataFrame, entropy: float | None = 0.95, repetition: float |
 
     ``budget`` is the number of tokens to take; by default, the least with which every source is taken in full at least once."""
     rows = staged(counted(docs), "counted")
-    totals = staged(rows.groupBy("source").agg(F.sum("n_tokens").alias("tokens")), "sources")
+    totals = staged(rows.groupBy("source").agg(F.sum("n_tokens").alias("tokens")), "sources", narrow=True)
     total = totals.agg(F.sum("tokens")).first()[0] or 0
     sources = totals.where("tokens > 0").withColumn("share", F.col("tokens") / F.lit(float(max(total, 1))))
     alpha = temperature(sources, entropy if repetition is None else None, repetition) if total else 1.0
@@ -82,7 +82,7 @@ def schedule(docs: DataFrame, entropy: float | None = 0.95, repetition: float |
     quota = F.round(F.col("weight") * F.lit(take)).cast("long")
     plan = weighted.withColumn("quota", quota).unionByName(totals.where("tokens = 0").select("source", "tokens", F.lit(0.0).alias("weight"), F.lit(0).cast("long").alias("quota")))
     plan = plan.withColumn("full", F.when(F.col("tokens") == 0, 1).otherwise(F.floor(F.col("quota") / F.greatest("tokens", F.lit(1)))).cast("int")).withColumn("rest", F.when(F.col("tokens") == 0, 0).otherwise(F.col("quota") - F.col("full") * F.col("tokens")).cast("long"))
-    plan = staged(plan.withColumn("blocks", F.greatest(F.lit(1), F.least(F.lit(most_blocks), F.ceil(F.col("tokens") / block_tokens))).cast("int")), "plan")
+    plan = staged(plan.withColumn("blocks", F.greatest(F.lit(1), F.least(F.lit(most_blocks), F.ceil(F.col("tokens") / block_tokens))).cast("int")), "plan", narrow=True)
     doc = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))
     placed = rows.join(plan.select("source", "blocks"), "source").select("doc_id", "source", "n_tokens", F.pmod(hashed(F.lit("block"), F.lit(seed), doc), F.col("blocks")).cast("int").alias("block"))
     sums = placed.groupBy("source", "block").agg(F.sum("n_tokens").alias("size")).join(plan, "source")

@@ -67,10 +67,12 @@ def _finders(text: Column) -> dict[str, tuple[Column, Column, str, object]]:
 
 def base_spans(text: Column) -> Column:
     """All valid base spans, by start, then kind."""
-    found = []
-    for rank, (kind, (worth, ready, pattern, check)) in enumerate(_finders(text).items()):
-        spans = F.transform(F.filter(located(ready, pattern), lambda x, check=check: check(x["s"])), lambda x, rank=rank, kind=kind: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), x["stop"].alias("stop"), F.lit(kind).alias("kind")))
-        found.append(F.when(worth, spans).otherwise(F.array().cast(SPAN)))
+    def spans(rank, kind, worth, ready, pattern, check):
+        valid = F.filter(located(ready, pattern), lambda x: check(x["s"]))
+        shaped = F.transform(valid, lambda x: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), x["stop"].alias("stop"), F.lit(kind).alias("kind")))
+        return F.when(worth, shaped).otherwise(F.array().cast(SPAN))
+
+    found = [spans(rank, kind, *how) for rank, (kind, how) in enumerate(_finders(text).items())]
     return F.array_sort(F.concat(*found))
 
 
@@ -101,15 +103,15 @@ def pattern_edges(rows: DataFrame) -> DataFrame:
 def confident_patterns(edges: DataFrame, rounds: int = 3, confidence: float = 0.7, support: int = 3) -> DataFrame:
     """pattern, kind, confidence. Seeds score one; a pattern scores the mean of its distinct instances, an instance its best pattern with
     enough distinct seeds; patterns that end above the confidence stay. A round is two aggregations over the graph."""
-    graph = staged(edges.groupBy("pattern", "token").agg(F.max("kind").alias("kind")), "pattern-graph")
+    graph = staged(edges.groupBy("pattern", "token").agg(F.max("kind").alias("kind")), "pattern-graph", narrow=True)
     kinds = graph.where("kind IS NOT NULL").groupBy("pattern", "kind").count()
     seeds = kinds.groupBy("pattern").agg(F.sum("count").alias("seeds"), F.max_by("kind", F.struct("count", "kind")).alias("kind")).where(F.col("seeds") >= support)
-    near = staged(graph.join(seeds.select("pattern"), "pattern", "left_semi").withColumn("score", F.when(F.col("kind").isNotNull(), 1.0).otherwise(0.0)), "near-seeds")
+    near = staged(graph.join(seeds.select("pattern"), "pattern", "left_semi").withColumn("score", F.when(F.col("kind").isNotNull(), 1.0).otherwise(0.0)), "near-seeds", narrow=True)
     scored = near.groupBy("pattern").agg(F.avg("score").alias("confidence"))
     for _ in range(rounds - 1):
         best = near.join(scored, "pattern").groupBy("token").agg(F.max("confidence").alias("best"))
         again = near.join(best, "token").select("pattern", F.when(F.col("kind").isNotNull(), 1.0).otherwise(F.when(F.col("best") >= confidence, F.col("best")).otherwise(0.0)).alias("score"))
-        scored = staged(again.groupBy("pattern").agg(F.avg("score").alias("confidence")), "pattern-scores")
+        scored = staged(again.groupBy("pattern").agg(F.avg("score").alias("confidence")), "pattern-scores", narrow=True)
     return scored.where(F.col("confidence") >= confidence).join(seeds.select("pattern", "kind"), "pattern")
 
 
@@ -117,7 +119,7 @@ def find_personal_data(docs: DataFrame, **options) -> DataFrame:
     """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans of every row."""
     text = doc_text(docs).select("doc_id", F.coalesce("doc_id", F.lit(-(2**63))).alias("doc"), F.xxhash64("text").alias("txt"), "text")
     rows = staged(text.select("doc_id", "doc", "txt", base_spans(F.col("text")).alias("base"), tokens_in_context(F.col("text")).alias("tokens")), "spans")
-    edges = staged(pattern_edges(rows), "edges")
+    edges = staged(pattern_edges(rows), "edges", narrow=True)
     good = confident_patterns(edges, **options)
     free = edges.where("kind IS NULL").select("doc", "txt", "start", "stop", "pattern").distinct()
     more = free.join(good, "pattern").groupBy("doc", "txt", "start", "stop").agg(F.max_by("kind", F.struct("confidence", "kind")).alias("kind"))

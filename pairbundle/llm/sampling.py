@@ -21,7 +21,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, modulus: int,
     chosen = chosen.where(~held_out(modulus, remainder)).groupBy("doc_id").agg(F.max("y").alias("y"))
     chosen = chosen.orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(most)
     rows = doc_text(docs).join(F.broadcast(chosen), "doc_id")
-    return staged(rows.groupBy("text").agg(F.min("doc_id").alias("doc_id"), F.max("y").alias("y")), f"sample-{label}")
+    return staged(rows.groupBy("text").agg(F.min("doc_id").alias("doc_id"), F.max("y").alias("y")), f"sample-{label}", narrow=True)
 
 
 def labels_of(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -153,14 +153,14 @@ def tile_links(marks: DataFrame, radius: int = 4, tile: int = 8192, blocks: int
 
 def components(links: DataFrame, most: int = 64) -> DataFrame:
     """node and label, the least node that links lead to. Every round is a written table; rounds end when no label moves."""
-    both = staged(links.union(links.select("v", "u")).distinct(), "links")
-    labels = staged(both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("label"), F.lit(True).alias("moved")), "labels")
+    both = staged(links.union(links.select("v", "u")).distinct(), "links", narrow=True)
+    labels = staged(both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("label"), F.lit(True).alias("moved")), "labels", narrow=True)
     for _ in range(most):
         near = both.join(labels.select(F.col("node").alias("v"), "label"), "v").groupBy(F.col("u").alias("node")).agg(F.min("label").alias("m"))
         least = labels.select("node", F.col("label").alias("was")).join(near, "node", "left").select("node", "was", F.least("was", "m").alias("label"))
         jump = labels.select(F.col("node").alias("label"), F.col("label").alias("up"))
         new = least.join(jump, "label", "left").select("node", F.least("label", "up").alias("label"), "was")
-        labels = staged(new.select("node", "label", (F.col("label") != F.col("was")).alias("moved")), "labels")
+        labels = staged(new.select("node", "label", (F.col("label") != F.col("was")).alias("moved")), "labels", narrow=True)
         if labels.where("moved").isEmpty():
             return labels.select("node", "label")
     raise RuntimeError("labels still move")
@@ -169,7 +169,7 @@ def components(links: DataFrame, most: int = 64) -> DataFrame:
 def near_duplicates(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:
     """doc_id, fingerprint, component_id of every row."""
     marked = staged(fingerprints(doc_text(docs), width), "fingerprints")
-    distinct = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
+    distinct = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints", narrow=True)
     labels = components(tile_links(distinct.select("fp"), radius, **options))
     named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("label"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))

@@ -43,7 +43,8 @@ def learn_lexicon(sample: DataFrame, most_terms: int = 300, least_rows: int = 3,
     if not bad or not good:
         return {}
     words = F.array_distinct(F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda w: F.length(w) > 2))
-    starts = [F.transform(F.filter(words, lambda w, k=k: F.length(w) > k), lambda w, k=k: F.concat(F.substring(w, 1, k), F.lit("*"))) for k in range(SHORTEST, LONGEST + 1)]
+    begin = lambda k: F.transform(F.filter(words, lambda w: F.length(w) > k), lambda w: F.concat(F.substring(w, 1, k), F.lit("*")))
+    starts = [begin(k) for k in range(SHORTEST, LONGEST + 1)]
     each = sample.select("y", F.explode(F.array_distinct(F.concat(words, *starts))).alias("term"))
     counts = each.groupBy("term").agg(F.sum("y").alias("bad"), F.count("*").alias("rows"))
     odds = F.log((F.col("bad") + 0.5) / (bad + 1)) - F.log((F.col("rows") - F.col("bad") + 0.5) / (good + 1))

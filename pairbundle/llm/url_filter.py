@@ -40,7 +40,7 @@ def filter_urls(pages: DataFrame, rules: DataFrame, default: str = "allow", pref
     suffixes = F.transform(F.filter(of(shape["labels"]), lambda k: k <= F.size("parts")), lambda k: F.array_join(F.slice("parts", F.size("parts") - k + 1, k), "."))
     prefixes = F.transform(F.filter(of(shape["lengths"]), lambda k: k <= F.length("path")), lambda k: F.substring("path", F.lit(1), k))
     made = rows.select("url", F.split("host", r"\.").alias("parts"), "path").select("url", F.explode(suffixes).alias("suffix"), prefixes.alias("prefixes"))
-    made = made.select("url", F.sha2(F.concat("suffix", F.explode("prefixes")), 256).alias("digest")).withColumn("short", F.substring("digest", 1, prefix))
+    made = made.select("url", "suffix", F.explode("prefixes").alias("start")).select("url", F.sha2(F.concat("suffix", "start"), 256).alias("digest")).withColumn("short", F.substring("digest", 1, prefix))
     known = rules.withColumn("full", F.sha2("rule", 256)).withColumn("short", F.substring("full", 1, prefix))
     fits = made.join(known, "short").where("digest = full")
     rank = F.struct(F.length("rule").alias("n"), F.length("host").alias("h"), "rule", "verdict")
@@ -50,7 +50,8 @@ def filter_urls(pages: DataFrame, rules: DataFrame, default: str = "allow", pref
 
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url")
-    return filter_urls(pages, spark.createDataFrame(RULES, "host string, path string, verdict string"))
+    rules = F.array(*[F.struct(F.lit(h).alias("host"), F.lit(p).alias("path"), F.lit(v).alias("verdict")) for h, p, v in RULES])
+    return filter_urls(pages, spark.range(1).select(F.inline(rules)))
 
 
 ORACLE_OP7 = """
