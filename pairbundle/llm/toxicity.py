@@ -187,8 +187,8 @@ def fit_trees(x: np.ndarray, y: np.ndarray, trees: int = 60, depth: int = 3, rat
     return model
 
 
-def score_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remainder: int = 0, most_labelled: int = 20_000, most_terms: int = 300, accept: float = 0.5) -> DataFrame:
-    """doc_id, held_out, score, predicted of every row."""
+def fit_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remainder: int = 0, most_labelled: int = 20_000, most_terms: int = 300) -> tuple[dict[str, float], Trees]:
+    """The lexicon and the calibrated trees from the bounded sample."""
     sample = training_rows(docs, labels, "toxic", modulus, remainder, most_labelled)
     lexicon = learn_lexicon(sample, most_terms)
 
@@ -199,17 +199,42 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remaind
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float64()))], ["y", "x"])
 
     data = sample.orderBy("doc_id").select("y", "text").mapInArrow(measured, "y int, x array<double>").toPandas()
-    model = fit_trees(np.array(data["x"].tolist(), np.float64).reshape(len(data), len(NAMES)), data["y"].to_numpy(np.int64)) if len(data) else fit_trees(np.zeros((0, len(NAMES))), np.zeros(0))
+    if not len(data):
+        return lexicon, fit_trees(np.zeros((0, len(NAMES))), np.zeros(0))
+    return lexicon, fit_trees(np.array(data["x"].tolist(), np.float64).reshape(len(data), len(NAMES)), data["y"].to_numpy(np.int64))
+
+
+def scorer(lexicon: dict[str, float], model: Trees):
+    """texts -> scores, to be called in tasks."""
+    weights = _Weights(lexicon)
+    return lambda texts: model.scores(np.array([features(t or "", weights) for t in texts], np.float64).reshape(-1, len(NAMES)))
+
+
+def score_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remainder: int = 0, accept: float = 0.5, **options) -> DataFrame:
+    """doc_id, held_out, score, predicted of every row."""
+    lexicon, model = fit_toxicity(docs, labels, modulus, remainder, **options)
 
     def score(batches):
-        weights = _Weights(lexicon)
+        judge = scorer(lexicon, model)
         for b in batches:
-            x = np.array([features(t, weights) for t in b.column(1).to_pylist()], np.float64).reshape(-1, len(NAMES))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.scores(x))], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(judge(b.column(1).to_pylist()))], ["doc_id", "score"])
 
     scored = doc_text(docs).select("doc_id", "text").mapInArrow(score, "doc_id long, score double")
     return scored.select("doc_id", held_out(modulus, remainder).alias("held_out"), "score", (F.col("score") >= accept).cast("int").alias("predicted"))
 
 
+def toxic_rows(docs: DataFrame, labels: DataFrame, keep: bool, accept: float = 0.5, **options) -> DataFrame:
+    """The rows, with all their columns, that are not toxic (``keep``) or that are. Rows are filtered where they lie."""
+    lexicon, model = fit_toxicity(docs, labels, **options)
+    place = docs.columns.index("text")
+
+    def choose(batches):
+        judge = scorer(lexicon, model)
+        for b in batches:
+            yield b.filter(pa.array((judge(b.column(place).to_pylist()) < accept) == keep))
+
+    return docs.mapInArrow(choose, docs.schema)
+
+
 def op8_toxicity_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_toxicity(documents(spark, sf_dir), labels_of(spark, sf_dir))
