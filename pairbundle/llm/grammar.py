@@ -32,7 +32,7 @@ HEADER = "<4sIIQQQQ"
 SLOT_BITS = 18
 
 
-def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5, per_round: int = 8192, min_count: int = 8):
+def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 3, per_round: int = 8192, min_count: int = 8):
     """Replaces frequent pairs by nonterminals. ``last`` marks each document's final id.
 
     Returns the remaining symbols, their ``last`` marks and the rules, an array of pairs; rule k is symbol ``first_symbol + k``."""
@@ -40,16 +40,15 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5
     for _ in range(rounds):
         if len(seq) < 2:
             break
-        key = seq[:-1].astype(np.uint64)
-        key <<= np.uint64(32)
-        key |= seq[1:]
-        slot = ((key * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOT_BITS)).astype(np.int32)
+        slot = seq[:-1] * np.uint32(0x9E3779B1)
+        slot ^= seq[1:] * np.uint32(0x85EBCA77)
+        slot >>= np.uint32(32 - SLOT_BITS)
         slot[last[:-1]] = 1 << SLOT_BITS
         total_in = np.bincount(slot, minlength=(1 << SLOT_BITS) + 1)
         total_in[-1] = 0  # pairs across a document's end
         floor = max(min_count, int(np.partition(total_in, -per_round)[-per_round]))
         at = np.flatnonzero((total_in >= floor)[slot])
-        slots, keys = slot[at], key[at]
+        slots, keys = slot[at], (seq[at].astype(np.uint64) << np.uint64(32)) | seq[at + 1]
         stands = np.zeros(len(total_in), np.uint64)
         stands[slots] = keys  # one pair of each full slot; others in it wait for a later round
         own = stands[slots] == keys
@@ -64,7 +63,7 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 5
         at, to = at[to > 0], to[to > 0]
         opens = np.diff(at, prepend=-2) != 1  # occurrences that overlap form runs: every other one stays
         run = at[np.maximum.accumulate(np.where(opens, np.arange(len(at)), 0))]
-        stay = (at - run) % 2 == 0
+        stay = ((at - run) & 1) == 0
         at, to = at[stay], to[stay]
         seq[at] = to
         last[at] = last[at + 1]
@@ -129,8 +128,11 @@ class Shard:
 
     def _expand(self) -> None:
         """The ids of every nonterminal, one after another; rules refer to earlier ones."""
-        self.starts = np.cumsum(self.sizes) - self.sizes
-        self.flat = np.zeros(int(self.sizes.sum()), np.uint32)
+        plain = np.arange(self.first_symbol)
+        self.size_of = np.concatenate([np.ones(self.first_symbol, np.int64), self.sizes])
+        self.starts = self.first_symbol + np.cumsum(self.sizes) - self.sizes
+        self.start_of = np.concatenate([plain, self.starts])
+        self.flat = np.concatenate([plain, np.zeros(int(self.sizes.sum()), np.int64)]).astype(np.uint32)
         done = np.zeros(len(self.rules), bool)
         side = self.rules.astype(np.int64) - self.first_symbol
         while not done.all():
@@ -145,17 +147,10 @@ class Shard:
         self.flat[np.repeat(to - (np.cumsum(n) - n), n) + np.arange(len(ids))] = ids
 
     def _ids(self, symbols: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        rule = symbols.astype(np.int64) - self.first_symbol
-        leaf = rule < 0
-        n = np.ones(len(symbols), np.int64)
-        n[~leaf] = self.sizes[rule[~leaf]]
+        """All symbols expanded: plain ids stand for themselves at the head of the table of expansions."""
+        n = self.size_of[symbols]
         ends = np.cumsum(n)
-        out = np.zeros(int(ends[-1]) if len(ends) else 0, np.uint32)
-        out[(ends - n)[leaf]] = symbols[leaf]
-        m = n[~leaf]
-        within = np.arange(int(m.sum())) - np.repeat(np.cumsum(m) - m, m)
-        out[np.repeat((ends - n)[~leaf], m) + within] = self.flat[np.repeat(self.starts[rule[~leaf]], m) + within]
-        return out, n
+        return self.flat[np.repeat(self.start_of[symbols] - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)], n
 
     def document(self, k: int) -> np.ndarray:
         return self._ids(self.symbols[self.begins[k] : self.begins[k + 1]])[0]
@@ -177,7 +172,7 @@ class Shard:
         return self._ids(self.symbols)[0]
 
 
-def write_shards(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int = 0, first_symbol: int = 1 << 16, shard_tokens: int = 2_000_000, **options) -> None:
+def write_shards(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int = 0, first_symbol: int = 1 << 16, shard_tokens: int = 1_500_000, **options) -> None:
     """Encodes all documents and writes the shards, in ascending doc_id order, to ``path``.
 
     ``first_symbol`` is above every id of the vocabulary and above ``end_id``."""
