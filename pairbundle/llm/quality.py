@@ -2,7 +2,8 @@
 
 Every word falls into one of ``buckets``; each bucket has a fixed sparse vector of signs. A word's vector is the sum of the sparse
 vectors of the words around it, over the whole corpus: each task adds up its own table, which is bounded by buckets times dimensions,
-and tables are summed by bucket. A document is the mean, the spread and the mean step of its words' vectors. The network is fitted on
+and tables are summed by bucket. A document is the mean and spread of its words' vectors
+and of the likeness of neighbours. The network is fitted on
 a bounded sample of labelled rows (``most_labelled``), its temperature on a part of them that the weights never saw.
 
 Null texts count as empty; an empty text has a vector of zeros and a score like any other. Repeated rows score each. With no labels, or
@@ -38,7 +39,7 @@ class _Buckets(dict):
         self[word] = k = zlib.crc32(word.encode("utf-8", "surrogatepass")) % self.buckets
         return k
 
-    def trim(self, most: int = 500_000) -> None:
+    def trim(self, most: int = 300_000) -> None:
         if len(self) > most:
             self.clear()
 
@@ -67,7 +68,7 @@ def word_vectors(docs: DataFrame, buckets: int, dimensions: int, window: int = 2
         table, total, seen = _Buckets(buckets), np.zeros(buckets * dimensions), np.zeros(buckets, np.int64)
         for batch in batches:
             texts = batch.column(0).to_pylist()
-            for a, b in text_batches(texts):
+            for a, b in text_batches(texts, 1_000_000):
                 words, n = _word_rows(texts[a:b], table)
                 owner = np.repeat(np.arange(len(n)), n)
                 seen += np.bincount(words, minlength=buckets)
@@ -90,23 +91,27 @@ def word_vectors(docs: DataFrame, buckets: int, dimensions: int, window: int = 2
     return out.astype(np.float32)
 
 
-def pooled(texts: list[str], vectors: np.ndarray, table: _Buckets) -> np.ndarray:
-    """Mean, spread and mean absolute step of each text's word vectors, and whether it has words at all."""
+def pooled(texts: list[str], vectors: np.ndarray, table: _Buckets, group: int = 64) -> np.ndarray:
+    """Mean and spread of each text's word vectors, how alike neighbours are (mean, spread, share of equal ones), and whether it has
+    words at all. Means come from counts of buckets, some texts at a time; only neighbours need a vector for every word."""
     words, n = _word_rows(texts, table)
     d = vectors.shape[1]
-    out = np.zeros((len(n), 3 * d + 1), np.float32)
-    some = np.flatnonzero(n)
-    if len(some):
-        v = vectors[words]
-        starts, size = (np.cumsum(n) - n)[some], n[some][:, None]
-        mean = np.add.reduceat(v, starts, axis=0) / size
-        step = np.zeros_like(v)
-        step[1:] = np.abs(v[1:] - v[:-1])
-        step[starts] = 0
-        out[some, :d] = mean
-        out[some, d : 2 * d] = np.sqrt(np.maximum(np.add.reduceat(v * v, starts, axis=0) / size - mean * mean, 0))
-        out[some, 2 * d : 3 * d] = np.add.reduceat(step, starts, axis=0) / size
-        out[some, 3 * d] = 1
+    both = np.concatenate([vectors, vectors * vectors], 1)
+    out = np.zeros((len(n), 2 * d + 4), np.float32)
+    ends = np.cumsum(n)
+    for a in range(0, len(n), group):
+        size = n[a : a + group]
+        own = words[ends[a] - n[a] : ends[a + len(size) - 1]]
+        counts = np.bincount(np.repeat(np.arange(len(size)), size) * len(vectors) + own, minlength=len(size) * len(vectors)).reshape(len(size), -1)
+        sums = counts.astype(np.float32) @ both / np.maximum(size, 1)[:, None]
+        out[a : a + group, :d] = sums[:, :d]
+        out[a : a + group, d : 2 * d] = np.sqrt(np.maximum(sums[:, d:] - sums[:, :d] ** 2, 0))
+    for k in np.flatnonzero(n > 1).tolist():
+        own = words[ends[k] - n[k] : ends[k]]
+        v = vectors[own]
+        alike = np.einsum("ij,ij->i", v[1:], v[:-1])
+        out[k, 2 * d : 2 * d + 3] = alike.mean(), alike.std(), (own[1:] == own[:-1]).mean()
+    out[n > 0, 2 * d + 3] = 1
     return out
 
 
@@ -166,18 +171,19 @@ def score_quality(docs: DataFrame, labels: DataFrame, modulus: int = 4, remainde
     def features(batches):
         table = _Buckets(buckets)
         for b in batches:
-            x = pooled(b.column(1).to_pylist(), vectors, table)
+            texts = b.column(1).to_pylist()
+            x = np.concatenate([pooled(texts[a:e], vectors, table) for a, e in text_batches(texts, 1_000_000)]) if texts else np.zeros((0, 2 * dimensions + 4))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x.tolist(), pa.list_(pa.float32()))], ["y", "x"])
 
     sample = training_rows(docs, labels, "quality", modulus, remainder, most_labelled)
     data = sample.orderBy("doc_id").select("y", "text").mapInArrow(features, "y int, x array<float>").toPandas()
-    net = fit_network(np.array(data["x"].tolist(), np.float64).reshape(len(data), -1), data["y"].to_numpy(np.int64)) if len(data) else fit_network(np.zeros((0, 3 * dimensions + 1)), np.zeros(0))
+    net = fit_network(np.array(data["x"].tolist(), np.float64).reshape(len(data), -1), data["y"].to_numpy(np.int64)) if len(data) else fit_network(np.zeros((0, 2 * dimensions + 4)), np.zeros(0))
 
     def score(batches):
         table = _Buckets(buckets)
         for b in batches:
             texts, found = b.column(1).to_pylist(), []
-            for a, e in text_batches(texts):
+            for a, e in text_batches(texts, 1_000_000):
                 found.append(net.scores(pooled(texts[a:e], vectors, table).astype(np.float64)))
             s = np.concatenate(found) if found else np.zeros(0)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s)], ["doc_id", "score"])
