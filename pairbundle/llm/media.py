@@ -169,24 +169,26 @@ def features(index: DataFrame, root: str) -> DataFrame:
     return index.mapInArrow(run, f"{fields}, {added}")
 
 
-def media_columns(docs: DataFrame, width: int = 576) -> DataFrame:
-    """Every row with its member's address, header columns and features."""
+def media_columns(docs: DataFrame, width: int = 576, most_broadcast: int = 1_000_000) -> DataFrame:
+    """Every row with its member's address, header columns and features. Up to ``most_broadcast`` copies (24 bytes each) are sent to the
+    tasks that read texts, so that no payload is shuffled; more are joined."""
     rows = doc_text(docs)
     root = shared_path(docs.sparkSession, "media")
     # 128 bits of hash and the length stand for a text while rows meet; the members' addresses are digests of their contents.
     key = [F.xxhash64("text").alias("one"), F.xxhash64(F.lit(1), "text", F.length("text")).alias("two")]
-    keyed = rows.select("doc_id", *key)
-    first = keyed.groupBy("one", "two").agg(F.min("doc_id").alias("doc_id"), F.max(F.col("doc_id").isNull()).alias("bare"))
-    writers = staged(first.where("doc_id IS NOT NULL").select("one", "two", "doc_id"), "media-writers", narrow=True)
-    texts = rows.select("doc_id", *key, F.col("text").cast("binary").alias("text"))
-    payloads = texts.join(writers, ["doc_id", "one", "two"], "left_semi").select("one", "two", "text")
-    bare = staged(first.where("doc_id IS NULL").select("one", "two"), "media-bare", narrow=True)
-    if not bare.isEmpty():  # contents of rows without a doc_id only
-        payloads = payloads.union(texts.where("doc_id IS NULL").join(bare, ["one", "two"], "left_semi").dropDuplicates(["one", "two"]).select("one", "two", "text"))
+    doc = F.coalesce("doc_id", F.lit(-(2**63))).alias("doc")
+    keyed = rows.select("doc_id", doc, *key)
+    first = keyed.groupBy("one", "two").agg(F.min("doc").alias("first"))
+    others = staged(keyed.select("doc", "one", "two").join(first, ["one", "two"]).where("doc <> first").select("doc", "one", "two").distinct(), "media-copies", narrow=True)
+    texts = rows.select(doc, *key, F.col("text").cast("binary").alias("text"))
+    if others.count() <= most_broadcast:  # payloads stay where they are read
+        payloads = texts.join(F.broadcast(others), ["doc", "one", "two"], "left_anti")
+    else:
+        payloads = texts.join(others, ["doc", "one", "two"], "left_anti")
     index = staged(write_members(payloads, root, width), "media-index")
-    index = index.dropDuplicates(["one", "two"])  # equal doc_ids with equal texts write twice
+    index = index.dropDuplicates(["one", "two"])  # rows of equal doc_id and text may write twice
     known = features(header_columns(index.repartition("shard").sortWithinPartitions("shard", "offset"), root), root)
-    return keyed.join(known, ["one", "two"]).drop("one", "two")
+    return keyed.join(known, ["one", "two"]).drop("doc", "one", "two")
 
 
 def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
