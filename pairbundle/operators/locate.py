@@ -4,8 +4,8 @@
 give no row; ``how='left'`` gives nulls for them, ``strict`` raises.
 """
 
-from __future__ import annotations
-
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -77,9 +77,6 @@ def range_asof(requests: DataFrame, index: DataFrame, cells: int = 256) -> DataF
 
 def range_search(requests: DataFrame, index: DataFrame, most: int = BROADCAST_BUNDLES) -> DataFrame:
     """Binary search in the sorted starts, sent to the executors once; behind a check of their number, else by stretches."""
-    import numpy as np
-    import pandas as pd
-
     owned = index.where("end_idx >= start_idx").select("start_idx", "end_idx", "bundle_id")
     if owned.count() > most:
         return range_asof(requests, index)
@@ -95,7 +92,8 @@ def range_search(requests: DataFrame, index: DataFrame, most: int = BROADCAST_BU
             return pd.DataFrame({"bundle_id": pd.array([None] * len(x), "Int64"), "text_pos": pd.array([None] * len(x), "Int64")})
         k = np.searchsorted(s, x, side="right") - 1
         ok = (k >= 0) & (x <= e[np.maximum(k, 0)])
-        return pd.DataFrame({"bundle_id": pd.array(np.where(ok, b[k], 0), "Int64").copy(), "text_pos": pd.array(np.where(ok, x - s[k], 0), "Int64")}).mask(~ok)
+        k = np.maximum(k, 0)
+        return pd.DataFrame({"bundle_id": pd.Series(b[k]).astype("Int64").where(pd.Series(ok)), "text_pos": pd.Series(x - s[k]).astype("Int64").where(pd.Series(ok))})
 
     found = requests.withColumn("hit", search("sample_id")).select("sample_id", "hit.bundle_id", "hit.text_pos").where("bundle_id IS NOT NULL")
     return _by_bundle(found, index, "inner")

@@ -127,7 +127,7 @@ def bench_hits(spark, sf_dir):
     inner = words("text")
     long = b.where(F.size(inner) >= 5).select("item_id", "text", F.xxhash64(F.slice(inner, 2, 3)).alias("key"))
     short = b.where(F.size(inner) < 5).select("item_id", "text")
-    keyed = d.select("doc_id", "media", F.explode(F.array_distinct(triples(words("media")))).alias("key"))
+    keyed = d.select("doc_id", "media", words("media").alias("w")).select("doc_id", "media", F.explode(F.array_distinct(triples(F.col("w")))).alias("key"))
     hits = keyed.join(long, "key").where(F.contains("media", F.col("text"))).select("doc_id", "media", "item_id", "text")
     rest = d.join(short, F.contains(d["media"], short["text"])).select("doc_id", "media", "item_id", "text")
     return hits.union(rest).select((F.col("doc_id") * 1000 + F.col("item_id")).alias("pair_ord"), "media", "text", F.col("doc_id").alias("src_id"))
