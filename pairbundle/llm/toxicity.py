@@ -74,7 +74,7 @@ def features(text: str, weights: _Weights) -> list[float]:
     if not text:
         return [0.0] * len(NAMES)
     w = np.fromiter(map(weights.__getitem__, words), np.float64, len(words))
-    if len(weights) > 500_000:
+    if len(weights) > 150_000:
         weights.clear()
     n, chars = max(1, len(words)), len(text)
     hit, second = np.flatnonzero(w > 0), np.flatnonzero(w < 0)
