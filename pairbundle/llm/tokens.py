@@ -53,7 +53,7 @@ class PieceEncoder:
 
     def __init__(self, path: str, limit: int = 600_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
@@ -64,6 +64,9 @@ class PieceEncoder:
         self.edge = np.zeros(max(vocab.values()) + 1, bool)  # ids that end, or begin, a piece
         self.edge[[i for token, i in vocab.items() if (token.endswith("</w>") if self.lowered else token.startswith("Ġ"))]] = True
         self.line = vocab.get("Ċ")
+        self.pattern = self.tokenizer.pre_tokenizer
+        # Pieces with a leading space, written one after another, part at the spaces alone; the pattern is not needed again.
+        self.spaces = pre_tokenizers.Sequence([pre_tokenizers.Split(" ", "merged_with_next"), pre_tokenizers.ByteLevel(add_prefix_space=False, trim_offsets=False, use_regex=False)])
         self._reset()
 
     def _reset(self) -> None:
@@ -109,7 +112,14 @@ class PieceEncoder:
                 mark = ids == self.line
                 return ids[~mark], np.diff(np.flatnonzero(mark), prepend=-1) - 1
 
-            kinds = [(spaced, lambda p: self._together(p, "".join, begins)), (~spaced & ~blank, lambda p: self._together(p, lambda q: "\n".join([*q, ""]), lines)), (blank, self._alone)]
+            def run_of(p):
+                self.tokenizer.pre_tokenizer = self.spaces
+                try:
+                    return self._together(p, "".join, begins)
+                finally:
+                    self.tokenizer.pre_tokenizer = self.pattern
+
+            kinds = [(spaced, run_of), (~spaced & ~blank, lambda p: self._together(p, lambda q: "\n".join([*q, ""]), lines)), (blank, self._alone)]
         for which, encode in kinds:
             at = np.flatnonzero(which)
             flat, counts = encode([keys[k] for k in at])
