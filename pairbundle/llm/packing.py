@@ -73,28 +73,30 @@ def best_pattern(value: np.ndarray, capacity: int) -> list[int]:
     return out
 
 
-def fractional(demand: np.ndarray, capacity: int, rounds: int = 160, rate: float = 0.5) -> dict[tuple, float]:
-    """Patterns and how often to use each, from multiplicative weights with knapsack pricing.
-
-    Prices start in proportion to the lengths; those of a pattern's lengths fall with their share of the demand that it covers."""
-    price = np.where(demand > 0, np.arange(len(demand)), 0) / capacity
-    use: dict[tuple, float] = {}
-    left = demand.astype(float)
-    bins = max(1.0, float(demand @ np.arange(len(demand))) / capacity)
-    for _ in range(rounds):
-        found = tuple(sorted(best_pattern(np.where(left > 0.5, price, 0), capacity), reverse=True))
-        if not found:
-            break
-        kinds, n = np.unique(found, return_counts=True)
-        step = min(float((left[kinds] / n).min()), max(1.0, bins / rounds * 4))
+def fractional(demand: np.ndarray, capacity: int, rounds: int = 160, rate: float = 1.0) -> tuple[dict[tuple, float], np.ndarray]:
+    """Patterns and how often to use each, and how far each demanded length is then covered, from multiplicative weights.
+
+    A length's price starts at its share of a bin filled with it alone and falls by a factor as its demand is covered; each round, the
+    knapsack finds the pattern of greatest price and uses it for half of the scarcest demand among its lengths."""
+    kinds = np.flatnonzero(demand)
+    wanted, base = demand[kinds].astype(float), 1 / (capacity // np.maximum(kinds, 1))
+    cover, use, value = np.zeros(len(kinds)), {}, np.zeros(capacity + 1)
+    for _ in range(rounds if len(kinds) else 0):
+        value[kinds] = base * np.exp(-rate * (cover - cover.min()))
+        found = tuple(sorted(best_pattern(value, capacity), reverse=True))
+        lengths, n = np.unique(found, return_counts=True)
+        at = np.searchsorted(kinds, lengths)
+        step = 0.5 * float((wanted[at] / n).min())
         use[found] = use.get(found, 0.0) + step
-        left[kinds] -= n * step
-        price[kinds] *= np.exp(-rate * n * step / demand[kinds])
-    return use
+        cover[at] += n * step / wanted[at]
+    return use, cover
 
 
 def plan(histogram: dict[int, int], capacity: int = 4096, rounds: int = 160) -> list[tuple[tuple, int]]:
-    """Patterns and their whole multiplicities, which together hold each length exactly as often as it occurs."""
+    """Patterns and their whole multiplicities, which together hold each length exactly as often as it occurs.
+
+    The fractional solution is scaled so that no length, or half of them, is covered more than once, rounded down, and completed by best
+    fit; the shorter of these plans stays, or that of best fit alone where rounding costs more than the program gains."""
     demand = np.zeros(capacity + 1, np.int64)
     for length, n in histogram.items():
         demand[length] = n
@@ -102,14 +104,18 @@ def plan(histogram: dict[int, int], capacity: int = 4096, rounds: int = 160) ->
     if demand[capacity]:
         out.append(((capacity,), int(demand[capacity])))
         demand[capacity] = 0
-    left = demand.copy()
-    for pattern, x in fractional(demand, capacity, rounds).items():
-        kinds, n = np.unique(pattern, return_counts=True)
-        times = min(int(x), int((left[kinds] // n).min()))
-        if times:
-            out.append((pattern, times))
-            left[kinds] -= n * times
-    return out + _best_fit(left, capacity)
+    use, cover = fractional(demand, capacity, rounds)
+    plans = [_best_fit(demand, capacity)]
+    for scale in {float(cover.max(initial=0)), float(np.median(cover)) if len(cover) else 0.0} - {0.0}:
+        left, made = demand.copy(), []
+        for pattern, x in sorted(use.items(), key=lambda item: -item[1]):
+            kinds, n = np.unique(pattern, return_counts=True)
+            times = min(int(x / scale), int((left[kinds] // n).min()))
+            if times:
+                made.append((pattern, times))
+                left[kinds] -= n * times
+        plans.append(made + _best_fit(left, capacity))
+    return out + min(plans, key=lambda p: sum(times for _, times in p))
 
 
 def _best_fit(left: np.ndarray, capacity: int) -> list[tuple[tuple, int]]:
