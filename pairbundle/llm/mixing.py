@@ -108,3 +108,31 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
 
 def op1_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return schedule(documents(spark, sf_dir))
+
+
+def _step(before: str, depth: int) -> str:
+    """One aggregation's five halvings: the largest step whose entropy reaches the target."""
+    a = f"(({before} * 32 + j) / {1 << depth}::DOUBLE)"
+    return f"(SELECT max(k) FROM (SELECT {before} * 32 + j AS k, j, ln(sum(pow(share, {a}))) - any_value({a}) * sum(pow(share, {a}) * ln(share)) / sum(pow(share, {a})) AS h FROM s, range(32) r(j) GROUP BY j) WHERE j = 0 OR h >= (SELECT 0.95::DOUBLE * ln(count(*)) - 1e-12 FROM s))"
+
+
+_HASH = "('0x' || substr(md5({}), 1, 8))::BIGINT"
+
+ORACLE_OP1 = f"""
+WITH c AS (SELECT doc_id, coalesce(source, '') AS source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS n_tokens FROM documents),
+t AS (SELECT source, sum(n_tokens)::BIGINT AS tokens FROM c GROUP BY 1),
+s AS (SELECT source, tokens, tokens / (SELECT sum(tokens) FROM t)::DOUBLE AS share FROM t WHERE tokens > 0),
+k1 AS (SELECT {_step("0", 5)} AS k), k2 AS (SELECT {_step("(SELECT k FROM k1)", 10)} AS k), k3 AS (SELECT {_step("(SELECT k FROM k2)", 15)} AS k), k4 AS (SELECT {_step("(SELECT k FROM k3)", 20)} AS k),
+a AS (SELECT CASE WHEN count(*) < 2 OR -sum(share * ln(share)) / sum(share) + ln(sum(share)) >= 0.95::DOUBLE * ln(count(*)) - 1e-12 THEN 1::DOUBLE ELSE (SELECT k FROM k4) / {1 << 20}::DOUBLE END AS alpha FROM s),
+r AS (SELECT source, tokens, pow(share, alpha) AS raised FROM s, a),
+w AS (SELECT source, tokens, raised / (SELECT sum(raised) FROM r) AS weight, round(raised / (SELECT sum(raised) FROM r) * ((SELECT max(tokens / raised) FROM r) * (SELECT sum(raised) FROM r)))::BIGINT AS quota FROM r UNION ALL SELECT source, tokens, 0, 0 FROM t WHERE tokens = 0),
+p AS (SELECT source, weight, CASE WHEN tokens = 0 THEN 1 ELSE quota // greatest(tokens, 1) END AS whole, CASE WHEN tokens = 0 THEN 0 ELSE quota % greatest(tokens, 1) END AS rest, greatest(1, least(4096, ceil(tokens / 20000)))::BIGINT AS blocks FROM w),
+d AS (SELECT c.*, {_HASH.format("'block|17|' || coalesce(doc_id::VARCHAR, '')")} % blocks AS block FROM c JOIN p ON c.source = p.source),
+b AS (SELECT source, block, sum(n_tokens)::BIGINT AS size FROM d GROUP BY 1, 2),
+u AS (SELECT b.source, b.block, b.size, p.weight, p.whole, p.rest, pass_no FROM b JOIN p ON b.source = p.source, range(1, 1000) x(pass_no) WHERE pass_no <= whole + CASE WHEN rest > 0 OR whole = 0 THEN 1 ELSE 0 END),
+o AS (SELECT *, row_number() OVER v AS block_rank, coalesce(sum(size) OVER (v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM u WINDOW v AS (PARTITION BY source, pass_no ORDER BY {_HASH.format("'order|17|' || source || '|' || pass_no || '|' || block")}, block)),
+m AS (SELECT *, CASE WHEN pass_no <= whole THEN size ELSE rest - before END AS room FROM o),
+j AS (SELECT d.doc_id, d.source, d.n_tokens, m.weight, m.pass_no, m.block, m.block_rank, m.room, m.size FROM d JOIN m ON d.source = m.source AND d.block = m.block WHERE room > 0 OR (size = 0 AND pass_no <= whole)),
+e AS (SELECT *, coalesce(sum(n_tokens) OVER (PARTITION BY source, pass_no ORDER BY {_HASH.format("'inside|17|' || coalesce(doc_id::VARCHAR, '')")}, doc_id, n_tokens ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ahead FROM j WHERE room < size)
+SELECT doc_id, source, n_tokens, round(weight, 9) AS weight, pass_no::INTEGER AS pass_no, block::INTEGER AS block, block_rank::INTEGER AS block_rank FROM (SELECT * FROM j WHERE room >= size UNION ALL SELECT * EXCLUDE (ahead) FROM e WHERE ahead < room)
+"""
