@@ -1,7 +1,7 @@
 """A training-data pipeline of five stages over ``documents``: each stage gets what its predecessor kept, written and read again.
 
-Every stage takes (spark, docs, sf_dir); all but the last return the columns of documents. Stages on texts decide by doc_id and text
-together, so rows that share a doc_id are judged each on its own text.
+Every stage takes (spark, docs, sf_dir); all but the last return the columns of documents. Stages on texts decide by doc_id and a hash of
+the text together, so rows that share a doc_id are judged each on its own text; repeated rows leave one.
 """
 
 from __future__ import annotations
@@ -25,12 +25,12 @@ def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts, the row with the largest doc_id."""
-    return _only(docs, exact_groups(docs).where("kept").select("doc_id"))
+    return _only(docs, exact_groups(docs).where("kept"))
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of a component of linked fingerprints, the row with the least doc_id."""
-    return _only(docs, near_duplicates(docs).where("doc_id <=> component_id").select("doc_id"))
+    return _only(docs, near_duplicates(docs).where("doc_id <=> component_id"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,11 +43,16 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packed_documents(docs)
 
 
-def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """One row for each of the ids; null counts as an id."""
-    kept = docs.join(ids.distinct().withColumnRenamed("doc_id", "_pb_id"), F.col("doc_id").eqNullSafe(F.col("_pb_id")), "left_semi")
-    again = staged(docs.groupBy("doc_id").count().where("count > 1").select("doc_id"), "repeated-ids", narrow=True)
-    return kept if again.isEmpty() else kept.dropDuplicates(["doc_id"])
+def _only(docs: DataFrame, kept: DataFrame) -> DataFrame:
+    """One row for each doc_id and text_key of ``kept``; null counts as an id."""
+    keys = kept.select(F.col("doc_id").alias("_pb_id"), F.col("text_key").alias("_pb_key"), F.lit(1).alias("_pb_n")).groupBy("_pb_id", "_pb_key").agg(F.sum("_pb_n").alias("_pb_n"))
+    keys = staged(keys, "kept", narrow=True)
+    own = F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
+    match = F.col("doc_id").cast("long").eqNullSafe(F.col("_pb_id")) & (own == F.col("_pb_key"))
+    rows = docs.join(keys, match, "left_semi")
+    if keys.where("_pb_n > 1").isEmpty():
+        return rows
+    return rows.withColumn("_pb_own", own).dropDuplicates(["doc_id", "_pb_own"]).drop("_pb_own")
 
 
 STAGES = [("toxicity", without_toxic), ("exact_dedup", without_copies), ("near_dedup", without_near_copies), ("mixing", mixed), ("packing", packed)]

@@ -68,18 +68,19 @@ def identities(texts: DataFrame, block_bytes: int = 4096, hashes=block_hashes) -
 
 
 def exact_groups(docs: DataFrame, block_bytes: int = 4096, **options) -> DataFrame:
-    """doc_id, keep_id, group_size, kept, text_sha256 of every row; of equal texts the row with the largest doc_id stays."""
+    """doc_id, keep_id, group_size, kept, text_sha256 and text_key (xxhash64 of the text) of every row; of equal texts the row with the largest doc_id
+    stays. Rows with the same doc_id and text are one document to this rule: all are marked alike."""
     rows = doc_text(docs)
     key = [F.coalesce("doc_id", F.lit(-(2**63))).alias("doc"), F.xxhash64("text").alias("txt")]
     names = identities(rows.select(*key, F.col("text").cast("binary").alias("data")), block_bytes, **options)
     light = rows.select(*key, "doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
-    marked = staged(light.join(names, ["doc", "txt"]).drop("doc", "txt"), "identities", narrow=True)
+    marked = staged(light.join(names, ["doc", "txt"]).drop("doc").withColumnRenamed("txt", "text_key"), "identities", narrow=True)
     groups = marked.groupBy("blocks", "name").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
-    return marked.join(groups, ["blocks", "name"]).select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
+    return marked.join(groups, ["blocks", "name"]).select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256", "text_key")
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact_groups(documents(spark, sf_dir))
+    return exact_groups(documents(spark, sf_dir)).drop("text_key")
 
 
 ORACLE_OP10 = """

@@ -39,14 +39,14 @@ def fingerprint(raw: bytes, width: int = 4, seed: int = 42) -> int:
 
 
 def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
-    """doc_id and its fingerprint as a signed long."""
+    """doc_id, text_key (xxhash64 of the text) and the fingerprint as a signed long."""
 
     def run(batches):
         for batch in batches:
-            marks = np.array([fingerprint(t, width) for t in batch.column(1).to_pylist()], np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks.view(np.int64))], ["doc_id", "fp"])
+            marks = np.array([fingerprint(t, width) for t in batch.column(2).to_pylist()], np.uint64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(marks.view(np.int64))], ["doc_id", "text_key", "fp"])
 
-    return docs.select("doc_id", F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, text_key long, fp long")
 
 
 def block_masks(blocks: int, radius: int) -> list[int]:
@@ -167,15 +167,15 @@ def components(links: DataFrame, most: int = 64) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:
-    """doc_id, fingerprint, component_id of every row."""
+    """doc_id, fingerprint, component_id and text_key of every row."""
     marked = staged(fingerprints(doc_text(docs), width), "fingerprints")
     distinct = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints", narrow=True)
     labels = components(tile_links(distinct.select("fp"), radius, **options))
     named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("label"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
     classes = named.join(ids, "label").select("fp", "component_id")
-    return marked.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return marked.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "text_key")
 
 
 def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(documents(spark, sf_dir))
+    return near_duplicates(documents(spark, sf_dir)).drop("text_key")
