@@ -359,13 +359,14 @@ def cache_sweep(spark, sf_dir):
     return ours.union(flat)
 
 
-@query()
+@query(f"SELECT share, accesses, hits, miss_bytes FROM ({_sweep_sql('doc_cap5', False)})")
 def cache_sweep_doc_cap5(spark, sf_dir):
     rows, idx = _accesses(spark, sf_dir, "doc_cap5")
-    return cachesim.sweep(cachesim.distances(rows), idx.agg(F.sum("byte_len")).first()[0])
+    out = cachesim.sweep(cachesim.distances(rows), idx.agg(F.sum("byte_len")).first()[0])
+    return out.select(F.col("share").cast("long").alias("share"), "accesses", "hits", "miss_bytes")
 
 
-@query()
+@query(f"SELECT 0::INTEGER AS worker, hits, miss_bytes FROM ({_sweep_sql('page_links', False)}) WHERE share = 50")
 def lru_direct(spark, sf_dir):
     """The cache itself at half of the body, as a check of the distances."""
     rows, idx = _accesses(spark, sf_dir, "page_links")

@@ -148,16 +148,6 @@ class BundleReader(DataSourceReader):
         self.path, self.stretch_bytes = path, stretch_bytes
         self.tests: list[tuple[str, str, object]] = []
 
-    def pushFilters(self, filters):
-        """bundle_id, start_idx and end_idx are known from the index; other filters stay with Spark."""
-        signs = {EqualTo: "eq", GreaterThan: "gt", GreaterThanOrEqual: "ge", LessThan: "lt", LessThanOrEqual: "le", In: "in"}
-        for f in filters:
-            name = getattr(f, "attribute", ())
-            if type(f) in signs and len(name) == 1 and name[0] in ("bundle_id", "start_idx", "end_idx"):
-                self.tests.append((name[0], signs[type(f)], f.value))
-            else:
-                yield f
-
     def partitions(self):
         import pyarrow.compute as pc
         import pyarrow.parquet as pq
@@ -187,8 +177,22 @@ class BundleReader(DataSourceReader):
                 yield bundle_id, start, end, media, [t.decode() for t in texts]
 
 
+class PruningBundleReader(BundleReader):
+    """Spark refuses readers with this method unless the session allows filters to be pushed to Python sources."""
+
+    def pushFilters(self, filters):
+        """bundle_id, start_idx and end_idx are known from the index; other filters stay with Spark."""
+        signs = {EqualTo: "eq", GreaterThan: "gt", GreaterThanOrEqual: "ge", LessThan: "lt", LessThanOrEqual: "le", In: "in"}
+        for f in filters:
+            name = getattr(f, "attribute", ())
+            if type(f) in signs and len(name) == 1 and name[0] in ("bundle_id", "start_idx", "end_idx"):
+                self.tests.append((name[0], signs[type(f)], f.value))
+            else:
+                yield f
+
+
 class BundleFileSource(DataSource):
-    """``spark.dataSource.register(BundleFileSource)``, then format ``pairbundle``. Options: path; stretch_bytes of a read task."""
+    """``spark.dataSource.register(BundleFileSource)``, then format ``pairbundle``. Options: path; stretch_bytes of a read task; pushdown."""
 
     @classmethod
     def name(cls):
@@ -198,7 +202,8 @@ class BundleFileSource(DataSource):
         return SCHEMA
 
     def reader(self, schema):
-        return BundleReader(self.options["path"], int(self.options.get("stretch_bytes", 64 << 20)))
+        kind = PruningBundleReader if self.options.get("pushdown", "true").lower() == "true" else BundleReader
+        return kind(self.options["path"], int(self.options.get("stretch_bytes", 64 << 20)))
 
     def writer(self, schema, overwrite):
         return BundleWriter(self.options["path"], overwrite, [f.name for f in schema.fields])
@@ -217,7 +222,8 @@ def write_container(found, path: str, shards: int | None = None) -> None:
 def read_container(spark, path: str):
     """Rows of SCHEMA. Filters reach the index if ``spark.sql.python.filterPushdown.enabled`` is set, which is a session's own choice."""
     spark.dataSource.register(BundleFileSource)
-    return spark.read.format("pairbundle").load(path)
+    allowed = spark.conf.get("spark.sql.python.filterPushdown.enabled", "false")
+    return spark.read.format("pairbundle").option("pushdown", allowed).load(path)
 
 
 def validate(index):
