@@ -1,7 +1,7 @@
 """Token-id output: Re-Pair grammar compression of shards of documents.
 
 A shard holds consecutive documents in doc_id order. Each round counts adjacent id pairs exactly, gives the most frequent ones a
-nonterminal each and replaces their non-overlapping occurrences; pairs never reach across a document's end. A shard's blob stores the
+nonterminal each and replaces their non-overlapping occurrences, until no pair is frequent; pairs never reach across a document's end. A shard's blob stores the
 rules, how many ids each nonterminal expands to, the start of every document and the remaining symbols, so that one document, or
 one position in it, is decoded without the rest. Blobs are rows of a Parquet table in the shared folder: a lost task writes its rows
 again under Spark's commit protocol, and any store that Spark reaches will do.
@@ -28,38 +28,55 @@ MAGIC = b"RPGS"
 VERSION = 1
 HEADER = "<4sIIQQQQ"
 
-#: Pairs are counted in 2 ** SLOT_BITS slots of a hash.
+#: Symbols are stored in 24 bits, so there are no more rules than these leave room for.
+SYMBOLS = 1 << 24
+
+#: At most 2 ** SLOT_BITS slots of a hash hold the pairs of a round.
 SLOT_BITS = 18
 
 
-def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 3, per_round: int = 8192, min_count: int = 8):
-    """Replaces frequent pairs by nonterminals. ``last`` marks each document's final id.
+def count_pairs(left: np.ndarray, right: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Exact counts of the pairs that occur ``least`` times: which occurrences were looked at, the group of each, and the count and pair
+    of each group. An occurrence is left out only where its whole hash slot holds fewer than ``least``.
+
+    In each slot one pair is counted by the slot's number; whatever else falls there is told apart by sorting."""
+    bits = min(SLOT_BITS, max(8, len(left).bit_length()))
+    slot = left * np.uint32(0x9E3779B1)
+    slot ^= right * np.uint32(0x85EBCA77)
+    slot >>= np.uint32(32 - bits)
+    at = np.flatnonzero((np.bincount(slot, minlength=1 << bits) >= least)[slot])
+    group, keys = slot[at].astype(np.int64), (left[at].astype(np.uint64) << np.uint64(32)) | right[at]
+    stands = np.zeros(1 << bits, np.uint64)
+    stands[group] = keys
+    other = np.flatnonzero(stands[group] != keys)
+    more, back = np.unique(keys[other], return_inverse=True)
+    group[other] = (1 << bits) + back
+    return at, group, np.bincount(group, minlength=len(stands) + len(more)), np.concatenate([stands, more])
+
+
+def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int | None = None, per_round: int = 8192, min_count: int = 6):
+    """Replaces pairs by nonterminals until none within a document occurs ``min_count`` times. ``last`` marks each document's final id.
+
+    A round replaces the ``per_round`` most frequent pairs (and those as frequent as the last of them); ``rounds`` bounds the rounds if
+    given. All occurrences of a replaced pair vanish, so only pairs with a new symbol can gain: a round looks at these (``open_at``) and
+    at frequent ones that earlier rounds left.
 
     Returns the remaining symbols, their ``last`` marks and the rules, an array of pairs; rule k is symbol ``first_symbol + k``."""
     seq, rules, total = ids.astype(np.uint32), [np.zeros((0, 2), np.uint32)], 0
-    for _ in range(rounds):
-        if len(seq) < 2:
-            break
-        slot = seq[:-1] * np.uint32(0x9E3779B1)
-        slot ^= seq[1:] * np.uint32(0x85EBCA77)
-        slot >>= np.uint32(32 - SLOT_BITS)
-        slot[last[:-1]] = 1 << SLOT_BITS
-        total_in = np.bincount(slot, minlength=(1 << SLOT_BITS) + 1)
-        total_in[-1] = 0  # pairs across a document's end
-        floor = max(min_count, int(np.partition(total_in, -per_round)[-per_round]))
-        at = np.flatnonzero((total_in >= floor)[slot])
-        slots, keys = slot[at], (seq[at].astype(np.uint64) << np.uint64(32)) | seq[at + 1]
-        stands = np.zeros(len(total_in), np.uint64)
-        stands[slots] = keys  # one pair of each full slot; others in it wait for a later round
-        own = stands[slots] == keys
-        at, slots = at[own], slots[own]
-        n = np.bincount(slots, minlength=len(total_in))
-        chosen = np.flatnonzero(n >= floor)
+    open_at = ~last
+    while rounds is None or len(rules) <= rounds:
+        at = np.flatnonzero(open_at)
+        some, group, n, pairs = count_pairs(seq[at], seq[at + 1], min_count)
+        at, frequent = at[some], n >= min_count
+        floor = min_count if np.count_nonzero(frequent) <= per_round else int(np.partition(n, -per_round)[-per_round])
+        chosen = np.flatnonzero(n >= floor)[: SYMBOLS - first_symbol - total]
         if not len(chosen):
             break
-        symbol = np.zeros(len(total_in), np.uint32)
+        symbol = np.zeros(len(n), np.uint32)
         symbol[chosen] = first_symbol + total + np.arange(len(chosen), dtype=np.uint32)
-        to = symbol[slots]
+        to = symbol[group]
+        open_at[:] = False
+        open_at[at[frequent[group] & (to == 0)]] = True
         at, to = at[to > 0], to[to > 0]
         opens = np.diff(at, prepend=-2) != 1  # occurrences that overlap form runs: every other one stays
         run = at[np.maximum.accumulate(np.where(opens, np.arange(len(at)), 0))]
@@ -67,10 +84,13 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, rounds: int = 3
         at, to = at[stay], to[stay]
         seq[at] = to
         last[at] = last[at + 1]
+        open_at[at] = True
+        open_at[at[at > 0] - 1] = True
         keep = np.ones(len(seq), bool)
         keep[at + 1] = False
-        seq, last = seq[keep], last[keep]
-        rules.append(np.stack([stands[chosen] >> np.uint64(32), stands[chosen] & np.uint64(0xFFFFFFFF)], 1).astype(np.uint32))
+        seq, last, open_at = seq[keep], last[keep], open_at[keep]
+        open_at &= ~last
+        rules.append(np.stack([pairs[chosen] >> np.uint64(32), pairs[chosen] & np.uint64(0xFFFFFFFF)], 1).astype(np.uint32))
         total += len(chosen)
     return seq, last, np.concatenate(rules)
 

@@ -59,6 +59,38 @@ def test_grammar_random_access(seed):
     assert (shard.sizes >= 2).all()
 
 
+def frequent_pairs(seq, last, least):
+    pairs = Counter((a, b) for a, b, end in zip(seq[:-1].tolist(), seq[1:].tolist(), last[:-1].tolist()) if not end)
+    return [p for p, n in pairs.items() if n >= least]
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_repair_leaves_no_frequent_pair(seed):
+    """More distinct pairs than hash slots, pairs that nest deeper than a few rounds reach, runs of one id, and few rules a round."""
+    rng = np.random.default_rng(seed)
+    phrases = [rng.integers(0, 50000, 200) for _ in range(40)]
+    parts = [rng.integers(0, 50000, 200_000), *(phrases[k] for k in rng.integers(0, 40, 400)), np.zeros(500, int)]
+    ids = np.concatenate(parts).astype(np.uint32)
+    last = rng.random(len(ids)) < 0.01
+    last[-1] = True
+    for least, options in ((6, {}), (3, {"min_count": 3, "per_round": 50})):
+        seq, ends, rules = grammar.repair(ids, last.copy(), 1 << 16, **options)
+        assert not frequent_pairs(seq, ends, least)
+        assert int(ends.sum()) == int(last.sum())
+        assert len({tuple(r) for r in rules.tolist()}) == len(rules)
+
+
+def test_pairs_are_counted_exactly():
+    """Against a counter, with more pairs than slots: a frequent pair counts in full whatever shares its slot."""
+    rng = np.random.default_rng(5)
+    ids = np.concatenate([rng.integers(0, 30, 300_000), rng.integers(0, 60000, 3_000_000)]).astype(np.uint32)
+    some, group, n, pairs = grammar.count_pairs(ids[:-1], ids[1:], 5)
+    got = {(int(pairs[g]) >> 32, int(pairs[g]) & 0xFFFFFFFF): int(n[g]) for g in np.flatnonzero(n >= 5)}
+    want = Counter(zip(ids[:-1].tolist(), ids[1:].tolist()))
+    assert got == {p: k for p, k in want.items() if k >= 5}
+    assert (pairs[group] == (ids[:-1][some].astype(np.uint64) << np.uint64(32) | ids[1:][some])).all()
+
+
 def test_packing(spark):
     got = packing.packed_documents(awkward(spark), capacity=64).collect()
     want = []
