@@ -235,7 +235,8 @@ def read_amplification(spark, sf_dir):
 
 
 def _requests(idx: DataFrame) -> DataFrame:
-    return sampler.sample_ids(idx).where("sample_id % 7 = 0").select("sample_id")
+    """Every id."""
+    return sampler.sample_ids(idx).select("sample_id")
 
 
 def _lookup(key: str, name: str, force: str | None):
@@ -245,7 +246,7 @@ def _lookup(key: str, name: str, force: str | None):
         return locate.locate(_requests(idx), idx, head, force).select(*locate.COLUMNS)
 
     QUERIES[key] = run
-    ORACLES[key] = f"SELECT sample_id, bundle_id, text_pos, byte_offset, byte_len FROM ({sql.samples(name)}) WHERE sample_id % 7 = 0"
+    ORACLES[key] = f"SELECT sample_id, bundle_id, text_pos, byte_offset, byte_len FROM ({sql.samples(name)})"
 
 
 for _key, _name, _force in (("locate_direct", "pages_url", None), ("locate_ratio", "doc_cap5", None), ("locate_range", "orders_lineitems", None), ("locate_range_search", "orders_lineitems", "search"), ("locate_range_asof", "orders_lineitems", "asof"), ("locate_range_theta", "page_links", "theta"), ("locate_hash", "orders_lineitems", "hash"), ("locate_uni_modal", "docs_uni", None), ("locate_adaptive_links", "page_links", None)):
@@ -270,11 +271,11 @@ def tree_depths(spark, sf_dir):
     return rangetree.depth_stats(rangetree.build(index(spark, sf_dir, "orders_lineitems")))
 
 
-@query(f"SELECT sample_id, bundle_id FROM ({sql.samples('page_links')}) WHERE sample_id % 97 = 0")
+@query(f"SELECT sample_id, bundle_id FROM ({sql.samples('page_links')})")
 def tree_walk(spark, sf_dir):
     idx = index(spark, sf_dir, "page_links")
     tree = staged(rangetree.build(idx), "tree", narrow=True)
-    return rangetree.lookup_trace(tree, sampler.sample_ids(idx).where("sample_id % 97 = 0")).select("sample_id", "bundle_id")
+    return rangetree.lookup_trace(tree, _requests(idx)).select("sample_id", "bundle_id")
 
 
 # Epochs

@@ -3,7 +3,7 @@ import random
 import pytest
 
 from pairbundle.operators import convert, locate, rangetree, reader, sampler
-from pairbundle.plans.workloads import index
+from pairbundle.plans.workloads import QUERIES, index
 from pairbundle.sources.corpora import corpus
 
 
@@ -21,6 +21,16 @@ def test_strategies_agree(spark, hybrid, rule):
     assert got == want
 
 
+LOOKUPS = {"locate_direct": "pages_url", "locate_ratio": "doc_cap5", "locate_range": "orders_lineitems", "locate_range_search": "orders_lineitems", "locate_range_asof": "orders_lineitems", "locate_range_theta": "page_links", "locate_hash": "orders_lineitems", "locate_uni_modal": "docs_uni", "locate_adaptive_links": "page_links", "tree_walk": "page_links"}
+
+
+@pytest.mark.parametrize("key", LOOKUPS)
+def test_queries_locate_every_id(spark, small, key):
+    got = QUERIES[key](spark, small)
+    want = [(i, r.bundle_id, i - r.start_idx, r.byte_offset, r.byte_len) for r in index(spark, small, LOOKUPS[key]).collect() for i in range(r.start_idx, r.end_idx + 1)]
+    assert sorted(tuple(r) for r in got.collect()) == sorted(w[: len(got.columns)] for w in want) and want
+
+
 def test_ratio_equals_range(spark, small):
     idx = index(spark, small, "doc_cap5")
     asked = sampler.sample_ids(idx).select("sample_id")
