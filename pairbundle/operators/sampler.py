@@ -37,10 +37,12 @@ def epoch_one(index: DataFrame, epoch: int = 0, seed: int = 42) -> DataFrame:
     return owned.select("bundle_id", "text_pos", (F.col("start_idx") + F.col("text_pos")).alias("sample_id"))
 
 
-def epoch_concat(found: DataFrame, separator: str = " ", max_texts: int = 4, max_chars: int = 256) -> DataFrame:
-    """The first texts of each bundle as one sequence, cut to a length."""
-    joined = F.array_join(F.transform(F.slice("texts", 1, max_texts), lambda t: t["text"]), separator)
-    return found.where("n_texts > 0").select("bundle_id", F.substring(joined, 1, max_chars).alias("sequence"))
+def epoch_concat(found: DataFrame, separator: str = " ", max_texts: int | None = None, max_chars: int | None = None) -> DataFrame:
+    """All texts of each bundle as one sequence; if given, only the first ``max_texts`` of them, or the first ``max_chars`` characters."""
+    texts = F.col("texts") if max_texts is None else F.slice("texts", 1, max_texts)
+    joined = F.array_join(F.transform(texts, lambda t: t["text"]), separator)
+    sequence = joined if max_chars is None else F.substring(joined, 1, max_chars)
+    return found.where("n_texts > 0").select("bundle_id", sequence.alias("sequence"))
 
 
 def batches(epoch: DataFrame, batch_size: int, workers: int = 1, drop_last: bool = False, total: int | None = None) -> DataFrame:

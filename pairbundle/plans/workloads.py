@@ -296,7 +296,7 @@ def epoch_one(spark, sf_dir):
     return sampler.epoch_one(index(spark, sf_dir, "page_links"))
 
 
-@query(f"SELECT bundle_id, md5(substr(t, 1, 256)) AS sequence_md5 FROM ({sql.index('doc_cap5')}) i JOIN (SELECT md5(media) AS fingerprint, string_agg(text, ' ' ORDER BY pair_ord) AS t FROM (SELECT *, row_number() OVER (PARTITION BY md5(media) ORDER BY pair_ord) AS k FROM ({sql.PAIRS['doc_cap5']})) WHERE k <= 4 GROUP BY 1) x ON i.fingerprint = x.fingerprint")
+@query(f"SELECT bundle_id, md5(t) AS sequence_md5 FROM ({sql.index('doc_cap5')}) i JOIN (SELECT md5(media) AS fingerprint, string_agg(text, ' ' ORDER BY pair_ord) AS t FROM ({sql.PAIRS['doc_cap5']}) GROUP BY 1) x ON i.fingerprint = x.fingerprint")
 def epoch_concat(spark, sf_dir):
     return sampler.epoch_concat(convert.bundles(corpus(spark, sf_dir, "doc_cap5"))).select("bundle_id", F.md5("sequence").alias("sequence_md5"))
 

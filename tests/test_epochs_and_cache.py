@@ -1,8 +1,11 @@
+import hashlib
+
 import pytest
 from pyspark.sql import functions as F
 
-from pairbundle.operators import cachesim, sampler
-from pairbundle.plans.workloads import _accesses, index
+from pairbundle.operators import cachesim, convert, sampler
+from pairbundle.plans.workloads import QUERIES, _accesses, index
+from pairbundle.sources.corpora import corpus
 
 #: Hits at 10, 20, ... 100 per cent of the body at the smallest scale.
 HITS = {"region_nations": [0, 2, 3, 5, 6, 7, 12, 13, 13, 20], "page_links": [16, 33, 57, 79, 101, 128, 158, 183, 215, 231], "doc_cap5": [61, 132, 201, 263, 343, 450, 526, 605, 673, 756]}
@@ -70,3 +73,14 @@ def test_stream_is_less_random(spark, small):
     ids = sampler.sample_ids(index(spark, small, "doc_cap5"))
     s = sampler.randomness(sampler.stream_shuffle(ids, F.floor(F.col("sample_id") / 1000))).first()
     assert s.n == 945 and s.share < 0.5
+
+
+def test_concat_keeps_every_text_whole(spark, small):
+    bundles = convert.bundles(corpus(spark, small, "doc_cap5")).cache()
+    texts = {r.bundle_id: [t.text for t in r.texts] for r in bundles.collect()}
+    whole = {k: " ".join(t) for k, t in texts.items()}
+    assert {len(t) for t in texts.values()} == {5} and max(map(len, whole.values())) > 256
+    assert {r.bundle_id: r.sequence for r in sampler.epoch_concat(bundles).collect()} == whole
+    assert {r.bundle_id: r.sequence_md5 for r in QUERIES["epoch_concat"](spark, small).collect()} == {k: hashlib.md5(t.encode()).hexdigest() for k, t in whole.items()}
+    cut = {r.bundle_id: r.sequence for r in sampler.epoch_concat(bundles, max_texts=2, max_chars=9).collect()}
+    assert cut == {k: " ".join(t[:2])[:9] for k, t in texts.items()}
