@@ -2,7 +2,7 @@
 
 Features of a text: densities of a lexicon in the words, in disguised words and close to the second person, rates of capitals,
 punctuation, digits and repeated letters, and lengths. The lexicon holds words and beginnings of words that a bounded sample of
-labelled rows (``most_labelled``) shows far more often in toxic texts; it is bounded by ``most_terms``. Trees and calibration are
+labelled rows (``most_labelled``) shows far more often in toxic texts; the sample alone bounds it. Trees and calibration are
 fitted on the driver from the sample's features alone.
 
 Null texts count as empty; an empty text has features of zero and a score like any other. Repeated rows score each. With no labels, or
@@ -36,8 +36,9 @@ def terms_of(words):
     return [words, *(words[:k] + "*" for k in range(SHORTEST, LONGEST + 1) if len(words) > k)]
 
 
-def learn_lexicon(sample: DataFrame, most_terms: int = 300, least_rows: int = 3, strength: float = 2.5) -> dict[str, float]:
-    """Terms and their log-odds. Rows that hold a term are counted in Spark by class; the driver gets the leading terms."""
+def learn_lexicon(sample: DataFrame, least_rows: int = 3, strength: float = 2.5) -> dict[str, float]:
+    """Terms and their log-odds. Rows that hold a term are counted in Spark by class; the driver gets every term with enough rows and
+    odds. A term goes if one of its own beginnings weighs as much: a word's weight is the greatest of its terms, so none changes."""
     totals = {r["y"]: r["n"] for r in sample.groupBy("y").agg(F.count("*").alias("n")).collect()}
     bad, good = totals.get(1, 0), totals.get(0, 0)
     if not bad or not good:
@@ -48,8 +49,10 @@ def learn_lexicon(sample: DataFrame, most_terms: int = 300, least_rows: int = 3,
     each = sample.select("y", F.explode(F.array_distinct(F.concat(words, *starts))).alias("term"))
     counts = each.groupBy("term").agg(F.sum("y").alias("bad"), F.count("*").alias("rows"))
     odds = F.log((F.col("bad") + 0.5) / (bad + 1)) - F.log((F.col("rows") - F.col("bad") + 0.5) / (good + 1))
-    lead = counts.where(F.col("bad") >= least_rows).withColumn("odds", odds).where(F.col("odds") >= strength).orderBy(F.desc(F.col("odds") * F.sqrt("bad")), "term").limit(most_terms)
-    return {r["term"]: float(r["odds"]) for r in lead.collect()}
+    lead = counts.where(F.col("bad") >= least_rows).withColumn("odds", odds).where(F.col("odds") >= strength).select("term", "odds")
+    found = {r["term"]: float(r["odds"]) for r in lead.collect()}
+    shorter = lambda t: (t[:k] + "*" for k in range(SHORTEST, LONGEST + 1) if k < len(t.rstrip("*")))
+    return {t: w for t, w in found.items() if all(found.get(s, 0.0) < w for s in shorter(t))}
 
 
 class _Weights(dict):
@@ -187,10 +190,10 @@ def fit_trees(x: np.ndarray, y: np.ndarray, trees: int = 60, depth: int = 3, rat
     return model
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remainder: int = 0, most_labelled: int = 20_000, most_terms: int = 300) -> tuple[dict[str, float], Trees]:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remainder: int = 0, most_labelled: int = 20_000) -> tuple[dict[str, float], Trees]:
     """The lexicon and the calibrated trees from the bounded sample."""
     sample = training_rows(docs, labels, "toxic", modulus, remainder, most_labelled)
-    lexicon = learn_lexicon(sample, most_terms)
+    lexicon = learn_lexicon(sample)
 
     def measured(batches):
         weights = _Weights(lexicon)

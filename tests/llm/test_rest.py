@@ -171,3 +171,13 @@ def test_classifiers_awkward(spark, score):
 def test_isotonic():
     x, y = toxicity.isotonic(np.array([0.1, 0.2, 0.3, 0.4]), np.array([0, 1, 0, 1]))
     assert (np.diff(y) >= 0).all() and len(x) == 3
+
+
+def test_lexicon_holds_the_whole_vocabulary(spark):
+    """More toxic words than a leading few hundred, of six rows each; what a beginning covers is not listed again."""
+    name = lambda k: "".join(chr(97 + k // 26**j % 26) for j in range(3)) + "qq"
+    rows = [(1, f"{name(k)} {name(k)}abcdefgh") for k in range(500) for _ in range(6)] + [(0, "plain words") for _ in range(3000)]
+    lexicon = toxicity.learn_lexicon(spark.createDataFrame(rows, "y int, text string"))
+    weights = toxicity._Weights(lexicon)
+    assert all(weights[name(k)] > 2.5 and weights[name(k) + "abcd"] > 2.5 for k in range(500))
+    assert weights["plain"] == 0 and not any(t.endswith("abcdefgh") for t in lexicon)
