@@ -6,7 +6,7 @@ the text together, so rows that share a doc_id are judged each on its own text;
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pairbundle.llm.common import documents, staged
@@ -14,7 +14,7 @@ from pairbundle.llm.exact_dedup import exact_groups
 from pairbundle.llm.mixing import mixed_documents
 from pairbundle.llm.packing import packed_documents
 from pairbundle.llm.sampling import labels_of
-from pairbundle.llm.simhash import near_duplicates
+from pairbundle.llm.simhash import labelled_rows
 from pairbundle.llm.toxicity import toxic_rows
 
 
@@ -29,8 +29,10 @@ def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of a component of linked fingerprints, the row with the least doc_id."""
-    return _only(docs, near_duplicates(docs).where("doc_id <=> component_id"))
+    """Of a component of linked fingerprints, the row with the least doc_id, null ids last; of such rows, the one with the least text_key."""
+    rows = labelled_rows(docs).groupBy("label", "doc_id", "text_key").agg(F.count("*").alias("n"))
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "text_key", "n")).alias("first")
+    return _only(docs, rows.groupBy("label").agg(first).select("first.doc_id", "first.text_key", "first.n"), F.col("n"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,9 +45,9 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packed_documents(docs)
 
 
-def _only(docs: DataFrame, kept: DataFrame) -> DataFrame:
-    """One row for each doc_id and text_key of ``kept``; null counts as an id."""
-    keys = kept.select(F.col("doc_id").alias("_pb_id"), F.col("text_key").alias("_pb_key"), F.lit(1).alias("_pb_n")).groupBy("_pb_id", "_pb_key").agg(F.sum("_pb_n").alias("_pb_n"))
+def _only(docs: DataFrame, kept: DataFrame, n: Column | None = None) -> DataFrame:
+    """One row for each doc_id and text_key of ``kept``; null counts as an id. A row of ``kept`` stands for ``n`` rows, or one."""
+    keys = kept.select(F.col("doc_id").alias("_pb_id"), F.col("text_key").alias("_pb_key"), (F.lit(1) if n is None else n).alias("_pb_n")).groupBy("_pb_id", "_pb_key").agg(F.sum("_pb_n").alias("_pb_n"))
     keys = staged(keys, "kept", narrow=True)
     own = F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
     match = F.col("doc_id").cast("long").eqNullSafe(F.col("_pb_id")) & (own == F.col("_pb_key"))

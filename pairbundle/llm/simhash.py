@@ -166,15 +166,20 @@ def components(links: DataFrame, most: int = 64) -> DataFrame:
     raise RuntimeError("labels still move")
 
 
-def near_duplicates(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:
-    """doc_id, fingerprint, component_id and text_key of every row."""
+def labelled_rows(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:
+    """doc_id, fingerprint, component_id, text_key and label of every row. The label alone tells components apart: least doc_ids may repeat."""
     marked = staged(fingerprints(doc_text(docs), width), "fingerprints")
     distinct = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints", narrow=True)
     labels = components(tile_links(distinct.select("fp"), radius, **options))
     named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("label"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
-    classes = named.join(ids, "label").select("fp", "component_id")
-    return marked.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "text_key")
+    classes = named.join(ids, "label").select("fp", "component_id", "label")
+    return marked.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "text_key", "label")
+
+
+def near_duplicates(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:
+    """doc_id, fingerprint, component_id and text_key of every row."""
+    return labelled_rows(docs, width, radius, **options).drop("label")
 
 
 def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

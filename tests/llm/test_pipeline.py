@@ -5,6 +5,7 @@ from cases import awkward, empty
 from pyspark.sql import functions as F
 
 from pairbundle.llm.sampling import labels_of
+from pairbundle.llm.simhash import near_duplicates
 from pairbundle.llm.toxicity import score_toxicity
 
 
@@ -38,3 +39,22 @@ def test_awkward_rows(spark, small):
             assert out.count() >= 0
     kept = dict(pipeline.STAGES)["exact_dedup"](spark, awkward(spark), small)
     assert kept.select("doc_id", "text").distinct().count() == kept.count()
+
+
+def test_near_dedup_keeps_one_of_each_component(spark, small):
+    """Against brute force, with repeated rows, near copies that share the least doc_id, and components without ids."""
+    groups = [" ".join(f"{stem}{k}" for k in range(400)) for stem in ("alpha", "beta", "gamma", "delta")]
+    rows = [(7, groups[0]), (7, groups[0] + " end"), (9, groups[0] + " stop"), (7, groups[1]), (7, groups[1]), (None, groups[2]), (None, groups[2] + " end"), (None, groups[3]), (3, groups[3] + " end")]
+    docs = spark.createDataFrame([(k, t, "en", "web", len(t)) for k, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    prints = {r.text_key: int(r.fingerprint, 16) for r in near_duplicates(docs).collect()}
+    keyed = [(k is None, k or 0, key, t) for (k, t), key in zip(rows, (r[0] for r in docs.select(F.xxhash64("text")).collect()))]
+    want, left = [], list(keyed)
+    while left:
+        part, grown = [left.pop(0)], True
+        while grown:
+            near = [x for x in left if any((prints[x[2]] ^ prints[y[2]]).bit_count() <= 4 for y in part)]
+            part, left, grown = part + near, [x for x in left if x not in near], bool(near)
+        want.append(min(part))
+    got = pipeline.without_near_copies(spark, docs, small)
+    assert sorted((r.doc_id is None, r.doc_id or 0, r.text) for r in got.collect()) == sorted((n, k, t) for n, k, _, t in want)
+    assert len(want) == 4
