@@ -77,13 +77,17 @@ def base_spans(text: Column) -> Column:
 
 
 def tokens_in_context(text: Column) -> Column:
-    """Identifier-like tokens, without punctuation at their end, with their two words before them."""
+    """Identifier-like tokens, without punctuation at their end, with their two words before them, of any length. A token is a
+    whole word, so the words with a digit or an at sign are the tokens in their order."""
     worth = text.rlike("[0-9@]")
     spot = r"(?<!\S)[^\s0-9@]*+[0-9@]\S*+"
     found = located(text, spot)
     trim = lambda s: F.regexp_replace(s, r"[^\p{L}\p{N}]+$", "")
-    left = lambda x: F.regexp_extract(F.lower(F.substring(text, F.greatest(F.lit(1), x["start"] - 63), F.least(F.lit(64), x["start"]))), r"(?:^|\s)(\S+\s+)?(\S+)\s+$", 0)
-    rows = F.transform(found, lambda x: F.struct(x["start"].alias("start"), (x["start"] + F.length(trim(x["s"]))).alias("stop"), trim(x["s"]).alias("token"), F.filter(F.split(F.trim(left(x)), r"\s+"), lambda w: w != "").alias("words")))
+    words, none = F.filter(F.split(text, r"\s+"), lambda w: w != ""), F.lit(None).cast("string")
+    before = F.zip_with(F.concat(F.array(none, none), words), F.concat(F.array(none), words), lambda a, b: F.struct(a.alias("two"), b.alias("one")))
+    placed = F.filter(F.zip_with(words, before, lambda w, b: F.struct(w.alias("word"), b["two"].alias("two"), b["one"].alias("one"))), lambda p: p["word"].rlike("[0-9@]"))
+    context = lambda p: F.filter(F.array(F.lower(p["two"]), F.lower(p["one"])), lambda w: w.isNotNull())
+    rows = F.zip_with(found, placed, lambda x, p: F.struct(x["start"].alias("start"), (x["start"] + F.length(trim(x["s"]))).alias("stop"), trim(x["s"]).alias("token"), context(p).alias("words")))
     return F.when(worth, rows).otherwise(F.array().cast("array<struct<start:int,stop:int,token:string,words:array<string>>>"))
 
 

@@ -181,3 +181,12 @@ def test_lexicon_holds_the_whole_vocabulary(spark):
     weights = toxicity._Weights(lexicon)
     assert all(weights[name(k)] > 2.5 and weights[name(k) + "abcd"] > 2.5 for k in range(500))
     assert weights["plain"] == 0 and not any(t.endswith("abcdefgh") for t in lexicon)
+
+
+def test_context_of_any_length(spark):
+    """The two words before a token, whole, behind a long link and wide padding."""
+    link, gap = "https://example.org/" + "a" * 90, " " * 80
+    texts = [f"see {link} code a1", f"staff number{gap}b2, c3", "d4 first", "no token", f"{gap}{link}{gap}Ref{gap}x@y"]
+    frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "k int, text string")
+    got = {r.k: [(t.token, t.words, texts[r.k][t.start : t.stop]) for t in r.tokens] for r in frame.select("k", pii.tokens_in_context(F.col("text")).alias("tokens")).collect()}
+    assert got == {0: [("a1", [link, "code"], "a1")], 1: [("b2", ["staff", "number"], "b2"), ("c3", ["number", "b2,"], "c3")], 2: [("d4", [], "d4")], 3: [], 4: [("x@y", [link, "ref"], "x@y")]}
