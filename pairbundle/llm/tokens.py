@@ -4,6 +4,9 @@ Both vocabularies used here split a text into pieces by a fixed pattern and enco
 characters are plain (printable ASCII, tab, line ends and the letters of Latin-1), Python's ``re`` states the same pattern, so the ids
 of a text are those of its pieces in order, and each distinct piece goes through the tokenizers library once and is remembered. A text
 with any other character is encoded as a whole by the library.
+
+The strings of special tokens in a text are ordinary text, as the vocabularies' own description sets it (``encode_special_tokens``): a
+document cannot forge an end id. ``special_strings=True`` gives the library's other reading, in which they become the special ids.
 """
 
 from __future__ import annotations
@@ -51,12 +54,13 @@ class PieceEncoder:
 
     ``path`` is a vocabulary with byte-level pieces that keep their leading space, or one of lowered pieces with word ends."""
 
-    def __init__(self, path: str, limit: int = 600_000):
+    def __init__(self, path: str, limit: int = 600_000, special_strings: bool = False):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.tokenizer.encode_special_tokens = not special_strings
+        self.special = [t.content.lower() for t in self.tokenizer.get_added_tokens_decoder().values()] if special_strings else []
         self.limit = limit
         vocab = self.tokenizer.get_vocab()
         self.lowered = any(token.endswith("</w>") for token in vocab)
@@ -137,7 +141,7 @@ class PieceEncoder:
             self._reset()
         get, find, rows, whole = self.index.__getitem__, self.find, [], []
         for k, text in enumerate(texts):
-            if is_plain(text):
+            if is_plain(text) and not (self.special and any(map(text.lower().__contains__, self.special))):
                 rows.append(np.fromiter(map(get, find(text.lower() if self.lowered else text)), np.int32))
             else:
                 rows.append(np.zeros(0, np.int32))
