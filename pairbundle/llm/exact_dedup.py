@@ -2,7 +2,7 @@
 
 Texts are cut into blocks of fixed size. Distinct blocks are sorted and their places in that order become integer names; pairs of
 adjacent names are named the same way, level by level, until each document has one name. Equal names mean equal texts: nothing is
-left to chance. Block contents are shuffled once, after the map side has merged equal ones; occurrences travel as two hashes and find
+left to chance in naming. Block contents are shuffled once, after the map side has merged equal ones; occurrences travel as two hashes and find
 their names through them. Should two contents share both hashes, these contents are named apart by a join on the contents.
 
 Null texts count as empty, and an empty text has one empty block. Repeated rows are copies of each other like any equal texts. Null
@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairbundle.llm.common import doc_text, documents, staged
+from pairbundle.llm.common import doc_text, documents, staged, text_key, with_group_facts
 
 
 def block_hashes(block: Column) -> tuple[Column, Column]:
@@ -68,15 +68,17 @@ def identities(texts: DataFrame, block_bytes: int = 4096, hashes=block_hashes) -
 
 
 def exact_groups(docs: DataFrame, block_bytes: int = 4096, **options) -> DataFrame:
-    """doc_id, keep_id, group_size, kept, text_sha256 and text_key (xxhash64 of the text) of every row; of equal texts the row with the largest doc_id
-    stays. Rows with the same doc_id and text are one document to this rule: all are marked alike."""
+    """doc_id, keep_id, group_size, kept, text_sha256 and text_key (its bytes) of every row; of equal texts the row with the largest doc_id
+    stays. Rows with the same doc_id and text are one document to this rule: all are marked alike. A document's row and its identity meet
+    by doc_id and SHA-256, so that rows of one doc_id, or of none, are told apart."""
     rows = doc_text(docs)
-    key = [F.coalesce("doc_id", F.lit(-(2**63))).alias("doc"), F.xxhash64("text").alias("txt")]
+    key = [F.coalesce("doc_id", F.lit(-(2**63))).alias("doc"), text_key().alias("txt")]
     names = identities(rows.select(*key, F.col("text").cast("binary").alias("data")), block_bytes, **options)
-    light = rows.select(*key, "doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
+    light = rows.select(*key, "doc_id")
     marked = staged(light.join(names, ["doc", "txt"]).drop("doc").withColumnRenamed("txt", "text_key"), "identities", narrow=True)
     groups = marked.groupBy("blocks", "name").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
-    return marked.join(groups, ["blocks", "name"]).select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256", "text_key")
+    out = with_group_facts(marked, staged(groups, "groups", narrow=True), ["blocks", "name"], "group_size")
+    return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("text_key")).alias("text_sha256"), "text_key")
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -17,11 +17,12 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pairbundle.llm.common import doc_text, documents, shared_path
 from pairbundle.llm.tokens import encoder, text_batches, tokenizer_path
+from pairbundle.operators.addressing import prefix_sum
 
 #: Fixed values of the file format: magic, version, and the header's fields (version, first nonterminal, documents, ids, rules, symbols).
 MAGIC = b"RPGS"
@@ -227,8 +228,7 @@ def write_shards(docs: DataFrame, path: str, vocabulary: str | None = None, end_
 def read_shards(spark: SparkSession, path: str) -> DataFrame:
     """Every document from its shard: doc_id, start, n_tokens, ids_crc32. Where shards start comes from their small columns alone."""
     shards = spark.read.parquet(path)
-    order = Window.orderBy("first_doc", "part", "n_ids").rowsBetween(Window.unboundedPreceding, -1)
-    starts = shards.select("first_doc", "part", "n_ids").withColumn("base", F.coalesce(F.sum("n_ids").over(order), F.lit(0)))
+    starts = prefix_sum(shards.select("first_doc", "part", "n_ids"), ["first_doc", "part", "n_ids"], {"base": "n_ids"})
 
     def decode(batches):
         for batch in batches:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairbundle.llm.common import doc_text, documents, shared_path, staged
+from pairbundle.llm.common import doc_text, documents, shared_path, staged, text_key, with_group_facts
 
 #: Fixed values of the PNG format: signature and the byte positions of its header.
 PNG_SIGNATURE = b"\x89PNG\r\n\x1a\n"
@@ -86,18 +86,18 @@ def _store(root: str):
 
 
 def write_members(payloads: DataFrame, root: str, width: int, shard_bytes: int = 256 << 20) -> DataFrame:
-    """Stores each row's payload; the index: key columns, n_bytes, digest, shard, offset, length.
+    """Stores each row's payload; the index: key, n_bytes, digest, shard, offset, length.
 
-    ``payloads`` has one, two (a key) and text, a row for each distinct content."""
+    ``payloads`` has key and text, a row for each distinct content."""
 
     def run(batches):
         filesystem, base = _store(root)
         out, size, name = None, 0, ""
         try:
             for batch in batches:
-                ones, twos, texts = (c.to_pylist() for c in batch.columns)
-                index: tuple = ([], [], [], [], [], [], [])
-                for one, two, text in zip(ones, twos, texts):
+                keys, texts = (c.to_pylist() for c in batch.columns)
+                index: tuple = ([], [], [], [], [], [])
+                for key, text in zip(keys, texts):
                     payload = text + b"\xff" * ((-len(text)) % width or (0 if text else width))
                     media = to_png(payload, width)
                     digest = hashlib.sha256(media).hexdigest()
@@ -110,11 +110,11 @@ def write_members(payloads: DataFrame, root: str, width: int, shard_bytes: int =
                     out.write(tar_header(f"{digest}.png", len(media)))
                     out.write(media)
                     out.write(b"\0" * ((-len(media)) % 512))
-                    for column, value in zip(index, (one, two, len(text), digest, name, size + 512, len(media))):
+                    for column, value in zip(index, (key, len(text), digest, name, size + 512, len(media))):
                         column.append(value)
                     size += 512 + len(media) + (-len(media)) % 512
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(index, kinds)], ["one", "two", "n_bytes", "digest", "shard", "offset", "length"])
+                kinds = (pa.binary(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(index, kinds)], ["key", "n_bytes", "digest", "shard", "offset", "length"])
         finally:
             if out is not None:
                 out.write(b"\0" * 1024)
@@ -122,7 +122,7 @@ def write_members(payloads: DataFrame, root: str, width: int, shard_bytes: int =
 
     filesystem, base = _store(root)
     filesystem.create_dir(base, recursive=True)
-    return payloads.select("one", "two", "text").mapInArrow(run, "one long, two long, n_bytes long, digest string, shard string, offset long, length long")
+    return payloads.select("key", "text").mapInArrow(run, "key binary, n_bytes long, digest string, shard string, offset long, length long")
 
 
 def header_columns(index: DataFrame, root: str) -> DataFrame:
@@ -170,25 +170,25 @@ def features(index: DataFrame, root: str) -> DataFrame:
 
 
 def media_columns(docs: DataFrame, width: int = 576, most_broadcast: int = 1_000_000) -> DataFrame:
-    """Every row with its member's address, header columns and features. Up to ``most_broadcast`` copies (24 bytes each) are sent to the
+    """Every row with its member's address, header columns and features. Up to ``most_broadcast`` copies (40 bytes each) are sent to the
     tasks that read texts, so that no payload is shuffled; more are joined."""
     rows = doc_text(docs)
     root = shared_path(docs.sparkSession, "media")
-    # 128 bits of hash and the length stand for a text while rows meet; the members' addresses are digests of their contents.
-    key = [F.xxhash64("text").alias("one"), F.xxhash64(F.lit(1), "text", F.length("text")).alias("two")]
     doc = F.coalesce("doc_id", F.lit(-(2**63))).alias("doc")
-    keyed = rows.select("doc_id", doc, *key)
-    first = keyed.groupBy("one", "two").agg(F.min("doc").alias("first"))
-    others = staged(keyed.select("doc", "one", "two").join(first, ["one", "two"]).where("doc <> first").select("doc", "one", "two").distinct(), "media-copies", narrow=True)
-    texts = rows.select(doc, *key, F.col("text").cast("binary").alias("text"))
+    keyed = staged(rows.select("doc_id", doc, text_key().alias("key")), "media-rows", narrow=False)
+    first = staged(keyed.groupBy("key").agg(F.min("doc").alias("first"), F.count("*").alias("rows")), "media-keys", narrow=True)
+    pairs = with_group_facts(keyed.select("doc", "key"), first, ["key"], "rows")
+    others = staged(pairs.where("doc <> first").select("doc", "key").distinct(), "media-copies", narrow=True)
+    texts = rows.select(doc, text_key().alias("key"), F.col("text").cast("binary").alias("text"))
     if others.count() <= most_broadcast:  # payloads stay where they are read
-        payloads = texts.join(F.broadcast(others), ["doc", "one", "two"], "left_anti")
+        payloads = texts.join(F.broadcast(others), ["doc", "key"], "left_anti")
     else:
-        payloads = texts.join(others, ["doc", "one", "two"], "left_anti")
+        payloads = texts.join(others, ["doc", "key"], "left_anti")
     index = staged(write_members(payloads, root, width), "media-index")
-    index = index.dropDuplicates(["one", "two"])  # rows of equal doc_id and text may write twice
+    index = index.dropDuplicates(["key"])  # rows of equal doc_id and text may write twice
     known = features(header_columns(index.repartition("shard").sortWithinPartitions("shard", "offset"), root), root)
-    return keyed.join(known, ["one", "two"]).drop("doc", "one", "two")
+    known = staged(known.join(first.select("key", "rows"), "key"), "media-known", narrow=True)
+    return with_group_facts(keyed, known, ["key"], "rows").drop("doc", "key", "rows")
 
 
 def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -28,9 +28,14 @@ def hashed(*parts) -> Column:
     return F.conv(F.substring(F.md5(F.concat_ws("|", *parts)), 1, 8), 16, 10).cast("long")
 
 
+def named_source() -> Column:
+    return F.coalesce(F.col("source").cast("string"), F.lit(""))
+
+
 def counted(docs: DataFrame) -> DataFrame:
     """doc_id, source and n_tokens of every row."""
-    return docs.select("doc_id", F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"), F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORDS)).cast("long").alias("n_tokens"))
+    n_tokens = F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORDS)).cast("long")
+    return docs.select("doc_id", named_source().alias("source"), n_tokens.alias("n_tokens"))
 
 
 def _measures(sources: DataFrame, exponents: list[float]) -> list[tuple[float, float]]:
@@ -99,10 +104,15 @@ def schedule(docs: DataFrame, entropy: float | None = 0.95, repetition: float |
 
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
-    """The documents' rows, each as often as the schedule takes it."""
-    copies = schedule(docs, **options).groupBy("doc_id", "pass_no").count().groupBy("doc_id").agg(F.count("*").cast("int").alias("_pb_copies"))
+    """The documents' rows, each as often as the schedule takes it. A row is known by its doc_id, source and number of tokens; rows that
+    agree in all three stand in one place of every pass and share their copies."""
+    keys = ["doc_id", "source", "n_tokens"]
+    copies = schedule(docs, **options).groupBy(*keys, "pass_no").count().groupBy(*keys).agg(F.count("*").cast("int").alias("_pb_copies"))
     columns = docs.columns
-    keyed = docs.join(copies.withColumnRenamed("doc_id", "_pb_doc"), F.col("doc_id").eqNullSafe(F.col("_pb_doc")))
+    copies = copies.select(F.col("doc_id").alias("_pb_doc"), F.col("source").alias("_pb_source"), F.col("n_tokens").alias("_pb_tokens"), "_pb_copies")
+    n_tokens = F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORDS)).cast("long")
+    same = F.col("doc_id").eqNullSafe(F.col("_pb_doc")) & (named_source() == F.col("_pb_source")) & (n_tokens == F.col("_pb_tokens"))
+    keyed = docs.join(copies, same)
     return keyed.withColumn("_pb_turn", F.explode(F.sequence(F.lit(1), F.col("_pb_copies")))).select(*columns)
 
 

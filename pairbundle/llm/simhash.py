@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairbundle.llm.common import doc_text, documents, staged
+from pairbundle.llm.common import doc_text, documents, staged, text_key, with_group_facts
 
 
 def fingerprint(raw: bytes, width: int = 4, seed: int = 42) -> int:
@@ -39,14 +39,14 @@ def fingerprint(raw: bytes, width: int = 4, seed: int = 42) -> int:
 
 
 def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
-    """doc_id, text_key (xxhash64 of the text) and the fingerprint as a signed long."""
+    """doc_id, text_key (SHA-256 of the text) and the fingerprint as a signed long."""
 
     def run(batches):
         for batch in batches:
             marks = np.array([fingerprint(t, width) for t in batch.column(2).to_pylist()], np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(marks.view(np.int64))], ["doc_id", "text_key", "fp"])
 
-    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, text_key long, fp long")
+    return docs.select("doc_id", text_key().alias("text_key"), F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, text_key binary, fp long")
 
 
 def block_masks(blocks: int, radius: int) -> list[int]:
@@ -169,12 +169,12 @@ def components(links: DataFrame, most: int = 64) -> DataFrame:
 def labelled_rows(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:
     """doc_id, fingerprint, component_id, text_key and label of every row. The label alone tells components apart: least doc_ids may repeat."""
     marked = staged(fingerprints(doc_text(docs), width), "fingerprints")
-    distinct = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints", narrow=True)
+    distinct = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("rows")), "distinct-fingerprints", narrow=True)
     labels = components(tile_links(distinct.select("fp"), radius, **options))
-    named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("label"))
+    named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", "rows", F.coalesce("label", "fp").alias("label"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
-    classes = named.join(ids, "label").select("fp", "component_id", "label")
-    return marked.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "text_key", "label")
+    classes = staged(named.join(ids, "label").select("fp", "rows", "component_id", "label"), "classes", narrow=True)
+    return with_group_facts(marked, classes, ["fp"], "rows").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "text_key", "label")
 
 
 def near_duplicates(docs: DataFrame, width: int = 4, radius: int = 4, **options) -> DataFrame:

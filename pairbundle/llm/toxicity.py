@@ -165,13 +165,16 @@ def isotonic(raw: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.array([p[0] / p[2] for p in pools]), np.array([(p[1] + 0.02) / (p[2] + 0.04) for p in pools])
 
 
-def fit_trees(x: np.ndarray, y: np.ndarray, trees: int = 60, depth: int = 3, rate: float = 0.15, bins: int = 64, least: float = 0.5, ridge: float = 1.0, seed: int = 3) -> Trees:
-    """Boosting on three quarters of the rows, calibration on the others."""
+def fit_trees(x: np.ndarray, y: np.ndarray, apart: np.ndarray | None = None, trees: int = 60, depth: int = 3, rate: float = 0.15, bins: int = 64, least: float = 0.5, ridge: float = 1.0, seed: int = 3) -> Trees:
+    """Boosting on the rows that are not ``apart``, calibration on those that are; by default a quarter of the rows by chance."""
     share = (y.sum() + 0.5) / (len(y) + 1)
     if len(y) < 20 or y.min() == y.max():
         return Trees([np.zeros(0)] * x.shape[1], float(np.log(share / (1 - share))))
-    order = np.random.default_rng(seed).permutation(len(y))
-    check, fit = order[: len(y) // 4], order[len(y) // 4 :]
+    if apart is None:
+        apart = np.random.default_rng(seed).random(len(y)) < 0.25
+    check, fit = np.flatnonzero(apart), np.flatnonzero(~apart)
+    if not len(fit):
+        check, fit = check[:0], check
     edges = [np.unique(np.quantile(x[fit, k], np.linspace(0, 1, bins - 1))) for k in range(x.shape[1])]
     model = Trees(edges, float(np.log(share / (1 - share))))
     b, t = model.bins(x[fit]), y[fit].astype(float)
@@ -191,20 +194,21 @@ def fit_trees(x: np.ndarray, y: np.ndarray, trees: int = 60, depth: int = 3, rat
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, modulus: int = 5, remainder: int = 0, most_labelled: int = 20_000) -> tuple[dict[str, float], Trees]:
-    """The lexicon and the calibrated trees from the bounded sample."""
-    sample = training_rows(docs, labels, "toxic", modulus, remainder, most_labelled)
-    lexicon = learn_lexicon(sample)
+    """The lexicon and the calibrated trees from the bounded sample. A quarter of it, by the texts' hash, is kept for the calibration:
+    neither the lexicon nor the trees learn from it."""
+    sample = training_rows(docs, labels, "toxic", modulus, remainder, most_labelled).withColumn("apart", F.pmod(F.xxhash64("text"), F.lit(4)) == 0)
+    lexicon = learn_lexicon(sample.where("NOT apart"))
 
     def measured(batches):
         weights = _Weights(lexicon)
         for b in batches:
             x = [features(t, weights) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float64()))], ["y", "x"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float64())), b.column(2)], ["y", "x", "apart"])
 
-    data = sample.orderBy("doc_id").select("y", "text").mapInArrow(measured, "y int, x array<double>").toPandas()
+    data = sample.orderBy("doc_id").select("y", "text", "apart").mapInArrow(measured, "y int, x array<double>, apart boolean").toPandas()
     if not len(data):
         return lexicon, fit_trees(np.zeros((0, len(NAMES))), np.zeros(0))
-    return lexicon, fit_trees(np.array(data["x"].tolist(), np.float64).reshape(len(data), len(NAMES)), data["y"].to_numpy(np.int64))
+    return lexicon, fit_trees(np.array(data["x"].tolist(), np.float64).reshape(len(data), len(NAMES)), data["y"].to_numpy(np.int64), data["apart"].to_numpy(bool))
 
 
 def scorer(lexicon: dict[str, float], model: Trees):

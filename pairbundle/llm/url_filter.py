@@ -2,7 +2,8 @@
 
 Each URL expands into expressions, a host suffix followed by a path prefix, of just the label counts and path lengths that rules have.
 Expressions meet rules in an equi-join on a short prefix of their digest; full digests confirm, and the longest rule wins (of equally
-long ones the one with the longer host). Only confirmed matches are shuffled.
+long ones the one with the longer host). Of the matches, only
+confirmed ones are shuffled, reduced to one for each URL; the rows then meet them by URL.
 
 A null URL, or one without ``://``, has an empty host and path; no rule fits it unless one is empty itself. Repeated rows and URLs get
 one row each. Empty tables give empty tables; an empty rule table leaves the default verdict. Extra columns are not read. Hosts and

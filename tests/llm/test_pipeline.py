@@ -4,6 +4,7 @@ import corpus_pipeline as pipeline
 from cases import awkward, empty
 from pyspark.sql import functions as F
 
+from pairbundle.llm.common import text_key
 from pairbundle.llm.sampling import labels_of
 from pairbundle.llm.simhash import near_duplicates
 from pairbundle.llm.toxicity import score_toxicity
@@ -47,7 +48,7 @@ def test_near_dedup_keeps_one_of_each_component(spark, small):
     rows = [(7, groups[0]), (7, groups[0] + " end"), (9, groups[0] + " stop"), (7, groups[1]), (7, groups[1]), (None, groups[2]), (None, groups[2] + " end"), (None, groups[3]), (3, groups[3] + " end")]
     docs = spark.createDataFrame([(k, t, "en", "web", len(t)) for k, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
     prints = {r.text_key: int(r.fingerprint, 16) for r in near_duplicates(docs).collect()}
-    keyed = [(k is None, k or 0, key, t) for (k, t), key in zip(rows, (r[0] for r in docs.select(F.xxhash64("text")).collect()))]
+    keyed = [(k is None, k or 0, key, t) for (k, t), key in zip(rows, (r[0] for r in docs.select(text_key()).collect()))]
     want, left = [], list(keyed)
     while left:
         part, grown = [left.pop(0)], True
