@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairbundle.llm.common import documents, staged
+from pairbundle.llm.common import documents, staged, text_key
 from pairbundle.llm.exact_dedup import exact_groups
 from pairbundle.llm.mixing import mixed_documents
 from pairbundle.llm.packing import packed_documents
@@ -49,7 +49,7 @@ def _only(docs: DataFrame, kept: DataFrame, n: Column | None = None) -> DataFram
     """One row for each doc_id and text_key of ``kept``; null counts as an id. A row of ``kept`` stands for ``n`` rows, or one."""
     keys = kept.select(F.col("doc_id").alias("_pb_id"), F.col("text_key").alias("_pb_key"), (F.lit(1) if n is None else n).alias("_pb_n")).groupBy("_pb_id", "_pb_key").agg(F.sum("_pb_n").alias("_pb_n"))
     keys = staged(keys, "kept", narrow=True)
-    own = F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
+    own = text_key(F.coalesce(F.col("text").cast("string"), F.lit("")))
     match = F.col("doc_id").cast("long").eqNullSafe(F.col("_pb_id")) & (own == F.col("_pb_key"))
     rows = docs.join(keys, match, "left_semi")
     if keys.where("_pb_n > 1").isEmpty():
