@@ -249,9 +249,12 @@ def agg_group(s, d):
     return lineitem(s, d).groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum(F.col("l_quantity").cast("long")).alias("quantity"), F.round(F.avg("l_discount"), 6).alias("discount"), F.max("l_extendedprice").alias("most"))
 
 
-@op("SELECT count(*)::BIGINT AS n, min(o_totalprice) AS least, round(stddev_samp(o_totalprice), 4) AS deviation, round(skewness(o_totalprice), 3) * 0 AS zero FROM orders")
+@op("SELECT count(*)::BIGINT AS n, min(o_totalprice) AS least, round(stddev_samp(o_totalprice), 4) AS deviation, round(skewness(o_totalprice), 4) AS skew FROM orders")
 def agg_global(s, d):
-    return orders(s, d).agg(F.count("*").alias("n"), F.min("o_totalprice").alias("least"), F.round(F.stddev("o_totalprice"), 4).alias("deviation"), (F.round(F.skewness("o_totalprice"), 3) * 0).alias("zero"))
+    """Spark's skewness is the population's; the sample's adjusts it by the number of rows, as the SQL does."""
+    n = F.count("*")
+    sample = F.skewness("o_totalprice") * F.sqrt(n * (n - 1)) / (n - 2)
+    return orders(s, d).agg(n.alias("n"), F.min("o_totalprice").alias("least"), F.round(F.stddev("o_totalprice"), 4).alias("deviation"), F.round(sample, 4).alias("skew"))
 
 
 @op("SELECT lang, count(DISTINCT md5(text))::BIGINT AS texts, count(DISTINCT source)::BIGINT AS sources FROM documents GROUP BY 1")

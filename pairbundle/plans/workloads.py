@@ -9,9 +9,10 @@ from pyspark.sql import functions as F
 
 from pairbundle.operators import addressing, cachesim, compare, convert, costs, layouts, locate, rangetree, reader, sampler
 from pairbundle.plans import sql
-from pairbundle.sources.container import size_ratio, validate
+from pairbundle.sources import legacy
+from pairbundle.sources.container import read_container, read_header, size_ratio, validate, write_container
 from pairbundle.sources.corpora import CORPORA, SEVEN, corpus
-from pairbundle.sources.shared import staged
+from pairbundle.sources.shared import shared_path, staged
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -137,6 +138,47 @@ for _n in ("doc_cap5", "page_links", "doc_copies", "orders_lineitems", "conv_tur
     _roundtrip(_n)
 
 
+@query("SELECT layout, (SELECT count(*) FROM embeddings)::BIGINT AS pairs, 0::BIGINT AS differing FROM (VALUES ('loose'), ('path_table'), ('pair_record')) t(layout)")
+def roundtrip_binary(spark, sf_dir):
+    """Media of arbitrary bytes, no text in any encoding, written in each layout, read back and converted: pairs compared, and how many differ."""
+    raw = F.unhex(F.concat(F.lit("FFD8FF00"), F.md5("media")))
+    found = staged(convert.bundles(corpus(spark, sf_dir, "vec_label").withColumn("media", raw)), "binary")
+    pairs = staged(convert.as_pairs(found), "binary-pairs")
+    light = lambda df, ord_: df.select(F.col(ord_).cast("long").alias("k"), F.md5("media").alias("m"), "text")
+    want, out = light(pairs, "sample_id"), None
+    writers = {"loose": lambda p: legacy.write_loose(pairs, p), "path_table": lambda p: legacy.write_path_table(found, p), "pair_record": lambda p: legacy.write_pair_record(pairs, p)}
+    for layout, write in writers.items():
+        path = shared_path(spark, layout)
+        write(path)
+        back = light(convert.as_pairs(convert.bundles(legacy.read_pairs(spark, path, layout))), "sample_id")
+        met = want.withColumn("a", F.lit(1)).join(back.withColumn("b", F.lit(1)), ["k", "m", "text"], "full")
+        same = F.col("a").isNotNull() & F.col("b").isNotNull()
+        one = met.agg(F.count("a").alias("pairs"), F.sum((~same).cast("long")).alias("differing")).select(F.lit(layout).alias("layout"), "pairs", "differing")
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query("SELECT kind, n_pairs, n_bundles FROM (" + sql.stats(("docs_uni", "page_links", "pages_url", "doc_cap5")) + ")")
+def container_header_kinds(spark, sf_dir):
+    """What a written container records of its pairing, for each kind."""
+    rows = []
+    for name in ("docs_uni", "page_links", "pages_url", "doc_cap5"):
+        path = shared_path(spark, f"box-{name}")
+        write_container(convert.bundles(corpus(spark, sf_dir, name)), path)
+        head = read_header(path)
+        rows.append((head["kind"], head["n_pairs"], head["n_bundles"]))
+    return spark.createDataFrame(rows, "kind string, n_pairs long, n_bundles long")
+
+
+@query(f"SELECT bundle_id, start_idx, end_idx, media_bytes, n_texts, text_bytes FROM ({sql.index('page_links')})")
+def scan_container(spark, sf_dir):
+    """A container written and scanned: what each of its bundles holds."""
+    path = shared_path(spark, "box")
+    write_container(convert.bundles(corpus(spark, sf_dir, "page_links")), path)
+    size = F.aggregate("texts", F.lit(0).cast("long"), lambda s, t: s + F.octet_length(t))
+    return read_container(spark, path).select("bundle_id", "start_idx", "end_idx", F.octet_length("media").cast("long").alias("media_bytes"), F.size("texts").cast("long").alias("n_texts"), size.alias("text_bytes"))
+
+
 @query("SELECT 0::BIGINT AS bundle_id, 0::BIGINT AS start_idx, 0::BIGINT AS end_idx, 0::BIGINT AS byte_offset, 0::BIGINT AS byte_len WHERE false")
 def container_valid(spark, sf_dir):
     return validate(index(spark, sf_dir, "orders_lineitems"))
@@ -278,6 +320,15 @@ def tree_walk(spark, sf_dir):
     return rangetree.lookup_trace(tree, _requests(idx)).select("sample_id", "bundle_id")
 
 
+@query(f"WITH RECURSIVE r AS (SELECT row_number() OVER (ORDER BY start_idx) - 1 AS node, n_texts FROM ({sql.index('page_links')})), n AS (SELECT count(*)::BIGINT AS m FROM r), seg(lo, hi, depth) AS (SELECT 0::BIGINT, m, 1 FROM n UNION ALL SELECT unnest([lo, (lo + hi) // 2 + 1]), unnest([(lo + hi) // 2, hi]), depth + 1 FROM seg WHERE lo < hi) SELECT round(sum(depth * n_texts) / sum(n_texts), 6) AS mean_comparisons, max(depth)::INTEGER AS max_comparisons, sum(n_texts)::BIGINT AS lookups FROM seg JOIN r ON r.node = (lo + hi) // 2 WHERE lo < hi")
+def tree_comparisons(spark, sf_dir):
+    """Comparisons of a lookup by the balanced tree, over every id: mean and most."""
+    idx = index(spark, sf_dir, "page_links")
+    tree = staged(rangetree.build(idx), "tree", narrow=True)
+    trace = rangetree.lookup_trace(tree, _requests(idx))
+    return trace.agg(F.round(F.avg("comparisons"), 6).alias("mean_comparisons"), F.max("comparisons").alias("max_comparisons"), F.count("*").alias("lookups"))
+
+
 # Epochs
 
 

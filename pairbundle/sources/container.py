@@ -84,6 +84,7 @@ def read_header(path: str) -> dict:
 class Written(WriterCommitMessage):
     shard: str
     rows: list
+    texts: int
 
 
 @dataclass
@@ -98,7 +99,7 @@ class BundleWriter(DataSourceWriter):
 
     def write(self, iterator: Iterator) -> WriterCommitMessage:
         store, base = filesystem(self.path)
-        name, rows, at = f"{uuid.uuid4().hex}.bundles", [], 0
+        name, rows, at, texts = f"{uuid.uuid4().hex}.bundles", [], 0, 0
         out = None
         for row in iterator:
             r = dict(zip(self.names, row))
@@ -113,9 +114,10 @@ class BundleWriter(DataSourceWriter):
             out.write(data)
             rows.append((r["bundle_id"], r["start_idx"], r["end_idx"], at, len(data)))
             at += len(data)
+            texts += len(r["texts"])
         if out is not None:
             out.close()
-        return Written(name, rows)
+        return Written(name, rows, texts)
 
     def commit(self, messages) -> None:
         store, base = filesystem(self.path)
@@ -124,7 +126,7 @@ class BundleWriter(DataSourceWriter):
         rows = [(m.shard, *r) for m in shards for r in m.rows]
         sizes = [r[3] - r[2] + 1 for r in rows]
         least, most = min(sizes, default=0), max(sizes, default=0)
-        kind = "uni_modal" if not rows else "one_to_one" if least == most == 1 else "fixed" if least == most else "hybrid"
+        kind = "uni_modal" if not any(m.texts for m in shards) else "one_to_one" if least == most == 1 else "fixed" if least == most else "hybrid"
         fields = header(kind, sum(sizes), len(rows), least)
         columns = list(zip(*rows)) or [[]] * 6
         types = [pa.string(), *[pa.int64()] * 5]

@@ -52,19 +52,19 @@ def write_pair_record(pairs: DataFrame, path: str) -> None:
 
 
 def read_pairs(spark: SparkSession, path: str, layout: str) -> DataFrame:
-    """pair_ord, media, text, src_id from any of the layouts."""
+    """pair_ord, media (bytes, of any kind), text, src_id from any of the layouts."""
     if layout == "loose":
-        files = spark.read.format("binaryFile").option("pathGlobFilter", "*.*").load(path).select(F.regexp_extract("path", r"([0-9]+)\.(media|text)$", 1).cast("long").alias("pair_ord"), F.regexp_extract("path", r"\.(media|text)$", 1).alias("side"), F.decode("content", "UTF-8").alias("content"))
+        files = spark.read.format("binaryFile").option("pathGlobFilter", "*.*").load(path).select(F.regexp_extract("path", r"([0-9]+)\.(media|text)$", 1).cast("long").alias("pair_ord"), F.regexp_extract("path", r"\.(media|text)$", 1).alias("side"), "content")
         media, text = (files.where(F.col("side") == s).select("pair_ord", F.col("content").alias(s)) for s in ("media", "text"))
-        return media.join(text, "pair_ord", "left").select("pair_ord", "media", "text", F.col("pair_ord").alias("src_id"))
+        return media.join(text, "pair_ord", "left").select("pair_ord", "media", F.decode("text", "UTF-8").alias("text"), F.col("pair_ord").alias("src_id"))
     if layout == "path_table":
         texts = spark.read.schema("sample_id long, path string, text string, _corrupt string").option("columnNameOfCorruptRecord", "_corrupt").json(f"{path}/texts").where("_corrupt IS NULL")
-        media = spark.read.format("binaryFile").load(f"{path}/media").select(F.concat(F.lit("media/"), F.regexp_extract("path", r"([0-9]+)$", 1)).alias("path"), F.decode("content", "UTF-8").alias("media"))
+        media = spark.read.format("binaryFile").load(f"{path}/media").select(F.concat(F.lit("media/"), F.regexp_extract("path", r"([0-9]+)$", 1)).alias("path"), F.col("content").alias("media"))
         return texts.join(media, "path").select(F.col("sample_id").alias("pair_ord"), "media", "text", F.col("sample_id").alias("src_id"))
     if layout == "pair_record":
         number = lambda b: F.conv(F.hex(b), 16, 10).cast("int")
         rows = spark.read.parquet(path).withColumn("m", number(F.substring("record", 1, 4)))
-        media = F.expr("decode(substring(record, 5, m), 'UTF-8')")
+        media = F.expr("substring(record, 5, m)")
         return rows.select(F.col("sample_id").alias("pair_ord"), media.alias("media"), F.expr("decode(substring(record, 9 + m, octet_length(record)), 'UTF-8')").alias("text"), F.col("sample_id").alias("src_id"))
     raise ValueError(f"no such layout: {layout}")
 
