@@ -178,20 +178,15 @@ def shape_fits(kind: Column, token: Column) -> Column:
     return fits
 
 
-def pattern_totals(texts: DataFrame, wanted: DataFrame, slots: int = 1 << 20) -> DataFrame:
-    """pattern and total, the number of words of the corpus that stand in it, for the wanted patterns. A table of ``slots`` bytes says
-    where the hash of a wanted pattern falls; words elsewhere are dropped before the shuffle, and the join decides. A wanted pattern of
-    two words has parts of one word that are wanted too, so these are looked up first."""
-    slot = lambda p: F.pmod(F.xxhash64(p), F.lit(slots)).cast("int")
-    table = bytearray(slots)
-    for r in wanted.select(slot(F.col("pattern")).alias("slot")).distinct().collect():  # no more rows than slots
-        table[r.slot] = 1
-    marks = F.lit(bytes(table))
-    may = lambda p: F.substring(marks, slot(p) + 1, F.lit(1)) == F.lit(b"\x01")
+def pattern_totals(texts: DataFrame, wanted: DataFrame, slots: int = 1 << 18) -> DataFrame:
+    """pattern and total, the number of words of the corpus that stand in it, for the wanted patterns. The slots into which hashes of
+    wanted patterns fall, at most ``slots`` numbers, are broadcast; words of other slots go before the shuffle, and the join decides."""
+    slot = F.pmod(F.xxhash64("pattern"), F.lit(slots)).alias("slot")
+    taken = F.broadcast(wanted.select(slot).distinct())
     places = texts.select(F.inline(around(words_of(F.col("text")))))
-    left, right = F.concat(F.lit("< "), F.col("one")), F.concat(F.lit("> "), F.col("after"))
-    places = places.where(may(left) | may(right)).select(F.explode(patterns_of(F.col("two"), F.col("one"), F.col("after"))).alias("pattern"))
-    return places.where(may(F.col("pattern"))).groupBy("pattern").agg(F.count("*").alias("total")).join(wanted, "pattern", "left_semi")
+    each = places.select(F.explode(patterns_of(F.col("two"), F.col("one"), F.col("after"))).alias("pattern"))
+    near = each.select("pattern", slot).join(taken, "slot", "left_semi")
+    return near.groupBy("pattern").agg(F.count("*").alias("total")).join(wanted, "pattern", "left_semi")
 
 
 def confident_patterns(edges: DataFrame, totals: DataFrame, known: DataFrame, confidence: float, support: int) -> DataFrame:
