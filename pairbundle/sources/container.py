@@ -1,9 +1,11 @@
 """The packed container: a Spark data source ``pairbundle`` with a binary encoding of its own.
 
-A shard file holds a header block (magic, version, JSON) and encoded bundles one after another: length and bytes of the media, number
-of texts, then length and bytes of each. Writer tasks write shards under names of their attempt; the commit on the driver writes the
-index, which alone makes them part of the container, so tasks may run twice. Readers plan byte ranges from the index, and filters on
-bundle_id or sample ranges cut the plan before anything is read. Paths are whatever ``pyarrow.fs`` opens.
+A shard file holds a header block (magic, version, JSON), encoded bundles one after another (length and bytes of the media, number of
+texts, then length and bytes of each), the index of its own bundles as Parquet, and a trailer that says where the index begins. Writer
+tasks write whole shards under names of their attempt; the commit on the driver writes header.json, with one line for each shard, which
+alone makes them part of the container, so tasks may run twice. Readers plan shards and shares of shards from those lines; tasks read
+the index of their shard. Filters on bundle_id or sample ranges drop shards in the plan and bundles in the tasks, before any body is
+read. Rows move as Arrow batches. Paths are whatever ``pyarrow.fs`` opens.
 """
 
 from __future__ import annotations
@@ -13,15 +15,23 @@ import struct
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
+from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, InputPartition, WriterCommitMessage
 from pyspark.sql.datasource import EqualTo, GreaterThan, GreaterThanOrEqual, In, LessThan, LessThanOrEqual
 from dataclasses import dataclass
 
 #: Fixed values of the file format.
 MAGIC = b"PBDL"
-VERSION = 1
+VERSION = 2
 HEAD = "<4sIQ"
+TAIL = "<QQ4s"
+
+#: Columns of a shard's index.
+INDEX = ("bundle_id", "start_idx", "end_idx", "byte_offset", "byte_len")
+
+#: Bodies are read, and rows handed on, in runs of at most so many bytes (or one bundle).
+RUN_BYTES = 8 << 20
 
 SCHEMA = "bundle_id long, start_idx long, end_idx long, media binary, texts array<string>"
 
@@ -73,76 +83,114 @@ def filesystem(path: str):
     return fs.FileSystem.from_uri(path if "://" in path else f"file://{path}")
 
 
-def read_header(path: str) -> dict:
-    """kind, counts and shards, without the body."""
+def _head_json(path: str) -> dict:
     store, base = filesystem(path)
     with store.open_input_file(f"{base}/header.json") as f:
         return json.loads(f.read())
 
 
+def read_header(path: str) -> dict:
+    """kind and counts, without any shard."""
+    return {k: v for k, v in _head_json(path).items() if k != "shards"}
+
+
+def read_shards(path: str) -> list[dict]:
+    """One entry for each shard: its name, bundles, texts, bytes, and the least and greatest value of each indexed column."""
+    return _head_json(path)["shards"]
+
+
+def read_index(store, file: str) -> pa.Table:
+    """The index at the end of a shard: two range reads."""
+    import pyarrow.parquet as pq
+
+    with store.open_input_file(file) as f:
+        size, tail = f.size(), struct.calcsize(TAIL)
+        at, n, magic = struct.unpack(TAIL, f.read_at(tail, size - tail))
+        if magic != MAGIC:
+            raise ValueError("a shard without its index")
+        return pq.read_table(pa.BufferReader(f.read_at(n, at)))
+
+
 @dataclass
 class Written(WriterCommitMessage):
-    shard: str
-    rows: list
-    texts: int
+    shard: dict | None
 
 
 @dataclass
-class Stretch(InputPartition):
+class Share(InputPartition):
+    """Part ``number`` of ``parts`` equal parts, by bundles, of a shard."""
+
     shard: str
-    rows: list
+    number: int
+    parts: int
+
 
+class BundleWriter(DataSourceArrowWriter):
+    def __init__(self, path: str):
+        self.path = path
 
-class BundleWriter(DataSourceWriter):
-    def __init__(self, path: str, overwrite: bool, names: list[str]):
-        self.path, self.overwrite, self.names = path, overwrite, names
+    def write(self, iterator: Iterator[pa.RecordBatch]) -> WriterCommitMessage:
+        import pyarrow.parquet as pq
 
-    def write(self, iterator: Iterator) -> WriterCommitMessage:
         store, base = filesystem(self.path)
-        name, rows, at, texts = f"{uuid.uuid4().hex}.bundles", [], 0, 0
-        out = None
-        for row in iterator:
-            r = dict(zip(self.names, row))
+        name, at, n_texts, out, sizes, kept = f"{uuid.uuid4().hex}.bundles", 0, 0, None, [], []
+        for batch in iterator:
+            if not batch.num_rows:
+                continue
             if out is None:
                 store.create_dir(base, recursive=True)
                 out = store.open_output_stream(f"{base}/{name}")
                 head = header_block({"shard": name})
                 out.write(head)
                 at = len(head)
-            media = r["media"].encode() if isinstance(r["media"], str) else bytes(r["media"])
-            data = encode_bundle(media, [t.encode() for t in r["texts"]])
-            out.write(data)
-            rows.append((r["bundle_id"], r["start_idx"], r["end_idx"], at, len(data)))
-            at += len(data)
-            texts += len(r["texts"])
-        if out is not None:
-            out.close()
-        return Written(name, rows, texts)
+            media = batch.column("media").cast(pa.binary())
+            texts = batch.column("texts").cast(pa.list_(pa.binary()))
+            for m, t in zip(media, texts):
+                data = encode_bundle(m.as_py(), held := t.as_py() or [])
+                out.write(data)
+                sizes.append(len(data))
+                n_texts += len(held)
+            kept.append(batch.select(INDEX[:3]))
+        if out is None:
+            return Written(None)
+        lengths = np.array(sizes, np.int64)
+        index = pa.Table.from_batches(kept).append_column("byte_offset", pa.array(at + np.cumsum(lengths) - lengths)).append_column("byte_len", pa.array(lengths))
+        block = pa.BufferOutputStream()
+        pq.write_table(index, block)
+        data = block.getvalue()
+        out.write(data)
+        out.write(struct.pack(TAIL, at + int(lengths.sum()), len(data), MAGIC))
+        out.close()
+        ranges = {c: [int(index.column(c).to_numpy().min()), int(index.column(c).to_numpy().max())] for c in INDEX[:3]}
+        owned = index.column("end_idx").to_numpy() - index.column("start_idx").to_numpy() + 1
+        return Written({"shard": name, "n_bundles": index.num_rows, "n_pairs": int(owned.sum()), "n_texts": n_texts, "least": int(owned.min()), "most": int(owned.max()), "bytes": int(lengths.sum()), "ranges": ranges})
 
     def commit(self, messages) -> None:
         store, base = filesystem(self.path)
         store.create_dir(base, recursive=True)
-        shards = sorted((m for m in messages if m is not None and m.rows), key=lambda m: m.rows[0][0])
-        rows = [(m.shard, *r) for m in shards for r in m.rows]
-        sizes = [r[3] - r[2] + 1 for r in rows]
-        least, most = min(sizes, default=0), max(sizes, default=0)
-        kind = "uni_modal" if not any(m.texts for m in shards) else "one_to_one" if least == most == 1 else "fixed" if least == most else "hybrid"
-        fields = header(kind, sum(sizes), len(rows), least)
-        columns = list(zip(*rows)) or [[]] * 6
-        types = [pa.string(), *[pa.int64()] * 5]
-        index = pa.table([pa.array(c, t) for c, t in zip(columns, types)], names=["shard", "bundle_id", "start_idx", "end_idx", "byte_offset", "byte_len"])
-        import pyarrow.parquet as pq
-
-        with store.open_output_stream(f"{base}/index.parquet") as f:
-            pq.write_table(index, f)
+        shards = sorted((m.shard for m in messages if m is not None and m.shard), key=lambda s: s["ranges"]["bundle_id"])
+        least, most = min((s["least"] for s in shards), default=0), max((s["most"] for s in shards), default=0)
+        total = lambda name: sum(s[name] for s in shards)
+        kind = "uni_modal" if not total("n_texts") else "one_to_one" if least == most == 1 else "fixed" if least == most else "hybrid"
         with store.open_output_stream(f"{base}/header.json") as f:
-            f.write(json.dumps(fields).encode())
+            f.write(json.dumps(header(kind, total("n_pairs"), total("n_bundles"), least) | {"shards": shards}).encode())
 
     def abort(self, messages) -> None:
         store, base = filesystem(self.path)
         for m in messages:
-            if m is not None and m.rows:
-                store.delete_file(f"{base}/{m.shard}")
+            if m is not None and m.shard:
+                store.delete_file(f"{base}/{m.shard['shard']}")
+
+
+#: How a filter reads a column's least and greatest value, and the column itself.
+WITHIN = {
+    "eq": lambda lo, hi, v: lo <= v <= hi,
+    "gt": lambda lo, hi, v: hi > v,
+    "ge": lambda lo, hi, v: hi >= v,
+    "lt": lambda lo, hi, v: lo < v,
+    "le": lambda lo, hi, v: lo <= v,
+    "in": lambda lo, hi, v: any(lo <= x <= hi for x in v),
+}
 
 
 class BundleReader(DataSourceReader):
@@ -151,32 +199,65 @@ class BundleReader(DataSourceReader):
         self.tests: list[tuple[str, str, object]] = []
 
     def partitions(self):
+        out = []
+        for s in read_shards(self.path):
+            if all(WITHIN[sign](*s["ranges"][name], value) for name, sign, value in self.tests):
+                parts = max(1, min(s["n_bundles"], -(-s["bytes"] // self.stretch_bytes)))
+                out += [Share(s["shard"], k, parts) for k in range(parts)]
+        return out or [Share("", 0, 1)]
+
+    def read(self, partition):
         import pyarrow.compute as pc
-        import pyarrow.parquet as pq
 
+        if not partition.shard:
+            return
         store, base = filesystem(self.path)
-        with store.open_input_file(f"{base}/index.parquet") as f:
-            index = pq.read_table(f)
+        file = f"{base}/{partition.shard}"
+        index = read_index(store, file)
+        first, last = (index.num_rows * k // partition.parts for k in (partition.number, partition.number + 1))
+        index = index.slice(first, last - first)
         how = {"eq": pc.equal, "gt": pc.greater, "ge": pc.greater_equal, "lt": pc.less, "le": pc.less_equal}
         for name, sign, value in self.tests:
             column = index.column(name)
             index = index.filter(pc.is_in(column, pa.array(list(value), pa.int64())) if sign == "in" else how[sign](column, value))
-        out: list[Stretch] = []
-        for shard, *r in zip(*(index.column(k).to_pylist() for k in range(6))):
-            if out and out[-1].shard == shard and r[3] + r[4] - out[-1].rows[0][3] <= self.stretch_bytes:
-                out[-1].rows.append(r)
-            else:
-                out.append(Stretch(shard, [r]))
-        return out or [Stretch("", [])]
-
-    def read(self, partition):
-        if not partition.rows:
-            return
-        store, base = filesystem(self.path)
-        with store.open_input_file(f"{base}/{partition.shard}") as f:
-            for bundle_id, start, end, offset, length in partition.rows:
-                media, texts, _ = decode_bundle(f.read_at(length, offset))
-                yield bundle_id, start, end, media, [t.decode() for t in texts]
+        at, size = (index.column(c).to_numpy().tolist() for c in ("byte_offset", "byte_len"))
+        with store.open_input_file(file) as f:
+            low = 0
+            while low < len(at):
+                high = low + 1
+                while high < len(at) and at[high] == at[high - 1] + size[high - 1] and at[high] + size[high] - at[low] <= RUN_BYTES:
+                    high += 1
+                data = f.read_at(at[high - 1] + size[high - 1] - at[low], at[low])
+                held = [decode_bundle(data, at[k] - at[low])[:2] for k in range(low, high)]
+                ids = index.slice(low, high - low).select(INDEX[:3]).combine_chunks()
+                media = pa.array([m for m, _ in held], pa.binary())
+                texts = pa.array([t for _, t in held], pa.list_(pa.string()))
+                yield pa.RecordBatch.from_arrays([*(ids.column(k).combine_chunks() for k in range(3)), media, texts], names=["bundle_id", "start_idx", "end_idx", "media", "texts"])
+                low = high
+
+
+def find_pair(path: str, sample_id: int) -> tuple[int, bytes, str | None, int] | None:
+    """One pair without a job: bundle_id, media, text, and the comparisons that the balanced order of ranges took. The shard comes from
+    the header, its index is halved down to the range that holds the id, and only that bundle is read."""
+    store, base = filesystem(path)
+    for s in read_shards(path):
+        (low, _), (_, high) = s["ranges"]["start_idx"], s["ranges"]["end_idx"]
+        if not low <= sample_id <= high:
+            continue
+        index = read_index(store, f"{base}/{s['shard']}")
+        starts, ends = (index.column(c).to_numpy() for c in ("start_idx", "end_idx"))
+        rows = np.flatnonzero(ends >= starts)
+        lo, hi, compared = 0, len(rows), 0
+        while lo < hi:
+            mid = (lo + hi) // 2
+            k, compared = int(rows[mid]), compared + 1
+            if starts[k] <= sample_id <= ends[k]:
+                with store.open_input_file(f"{base}/{s['shard']}") as f:
+                    media, texts, _ = decode_bundle(f.read_at(index.column("byte_len")[k].as_py(), index.column("byte_offset")[k].as_py()))
+                place = sample_id - int(starts[k])
+                return index.column("bundle_id")[k].as_py(), media, texts[place].decode() if texts else None, compared
+            lo, hi = (lo, mid) if sample_id < starts[k] else (mid + 1, hi)
+    return None
 
 
 class PruningBundleReader(BundleReader):
@@ -208,7 +289,7 @@ class BundleFileSource(DataSource):
         return kind(self.options["path"], int(self.options.get("stretch_bytes", 64 << 20)))
 
     def writer(self, schema, overwrite):
-        return BundleWriter(self.options["path"], overwrite, [f.name for f in schema.fields])
+        return BundleWriter(self.options["path"])
 
 
 def write_container(found, path: str, shards: int | None = None) -> None:

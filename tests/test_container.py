@@ -36,6 +36,39 @@ def test_filters_reach_the_index(spark, found, tmp_path):
     assert container.read_container(spark, path).where("bundle_id > 1000").count() == 0
 
 
+def test_shards_hold_their_index(spark, found, tmp_path):
+    path = f"file://{tmp_path}/box"
+    container.write_container(found, path, 3)
+    shards = container.read_shards(path)
+    assert len(shards) == 3 and sum(s["n_bundles"] for s in shards) == 50 and not list((tmp_path / "box").glob("*.parquet"))
+    store, base = container.filesystem(path)
+    index = [r for s in shards for r in container.read_index(store, f"{base}/{s['shard']}").to_pylist()]
+    assert [r["bundle_id"] for r in index] == list(range(50))
+    few = container.BundleReader(path, 1 << 30)
+    few.tests.append(("bundle_id", "eq", 3))
+    assert len(few.partitions()) == 1
+    parts = container.BundleReader(path, 2000)
+    assert len(parts.partitions()) > 3
+    rows = [r for p in parts.partitions() for b in parts.read(p) for r in b.column("bundle_id").to_pylist()]
+    assert sorted(rows) == list(range(50))
+
+
+def test_one_pair_without_a_job(spark, found, tmp_path):
+    path = f"file://{tmp_path}/box"
+    container.write_container(found, path, 2)
+    want = {r.sample_id: (r.bundle_id, r.media.encode(), r.text) for r in convert.as_pairs(found).join(found.select("start_idx", "bundle_id", "end_idx"), F.expr("sample_id BETWEEN start_idx AND end_idx")).collect()}
+    got = {k: container.find_pair(path, k) for k in range(281)}
+    assert {k: v[:3] for k, v in got.items()} == want
+    assert max(v[3] for v in got.values()) <= 5  # 25 ranges in each shard
+    assert container.find_pair(path, 281) is None and container.find_pair(path, -1) is None
+
+
+def test_empty_container(spark, found, tmp_path):
+    path = f"file://{tmp_path}/box"
+    container.write_container(found.limit(0), path, 1)
+    assert container.read_container(spark, path).count() == 0 and container.read_header(path)["n_bundles"] == 0
+
+
 def test_bytes_of_a_bundle():
     data = container.encode_bundle(b"media", [b"a", "é".encode(), b""])
     assert len(data) == 8 + 5 + 3 * 4 + 3 and container.decode_bundle(data) == (b"media", [b"a", "é".encode(), b""], len(data))
