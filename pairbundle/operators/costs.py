@@ -96,6 +96,16 @@ def load_rate(stats: DataFrame, profile: Profile = Profile(), media_scale: int =
     return per_layout(rows, {k: {"rate": rate(k)} for k in OPENS})
 
 
+def rate_of_hits(stats: DataFrame, hits: DataFrame, profile: Profile = Profile(), media_scale: int = 1) -> DataFrame:  # noqa: B008
+    """As ``load_rate``, with the share of hits from a simulated cache (corpus, layout, share, hit_share) instead of the closed form."""
+    shares = hits.select("share").distinct()
+    touched = per_layout(stats.select("corpus", "n_pairs", "dup_bytes", "text_bytes", "touched_bytes"), {k: {"mb": c / 1e6, "opens": F.lit(OPENS[k])} for k, c in _touched(media_scale).items()})
+    rows = touched.select("corpus", "layout", "mb", "opens").join(F.broadcast(shares)).join(F.broadcast(hits), ["corpus", "layout", "share"], "left").fillna({"hit_share": 0.0})
+    hit, mb = F.col("hit_share"), F.col("mb")
+    ms = F.col("opens") * profile.open_ms + (1 - hit) * (profile.seek_ms + mb / profile.read_mb_s * 1000) + hit * (mb / profile.cached_mb_s * 1000)
+    return rows.select("corpus", "layout", "share", "hit_share", (1000 / ms).alias("rate"))
+
+
 def write_rate(stats: DataFrame, profile: Profile = Profile(), media_scale: int = 1) -> DataFrame:  # noqa: B008
     """Samples a second of a bulk copy: a cost for each file and for each byte."""
     s = storage(stats, meta_bytes=0, media_scale=media_scale)

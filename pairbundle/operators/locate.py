@@ -99,17 +99,40 @@ def range_search(requests: DataFrame, index: DataFrame, most: int = BROADCAST_BU
     return _by_bundle(found, index, "inner")
 
 
+def range_cogroup(requests: DataFrame, index: DataFrame, cells: int = 256) -> DataFrame:
+    """Each stretch of the id space meets the slice of the index that reaches into it: one binary search for each stretch, whose ranges
+    and ids must fit a task; raise ``cells`` with the number of ids."""
+    i = index.where("end_idx >= start_idx")
+    top = i.agg(F.max("end_idx")).first()[0]
+    step = max(1, -(-((top or 0) + 1) // cells))
+    cell = lambda c: F.floor(F.col(c) / step).cast("long")
+    slices = i.select("bundle_id", "start_idx", "end_idx", "byte_offset", "byte_len", F.explode(F.sequence(cell("start_idx"), cell("end_idx"))).alias("cell"))
+    asked = requests.where("sample_id IS NOT NULL").select(cell("sample_id").alias("cell"), "sample_id")
+
+    def search(ids: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
+        held = held.sort_values("start_idx")
+        x, s, e = ids["sample_id"].to_numpy(), held["start_idx"].to_numpy(), held["end_idx"].to_numpy()
+        k = np.searchsorted(s, x, side="right") - 1
+        ok = (k >= 0) & (x <= e[k]) if len(s) else np.zeros(len(x), bool)
+        x, k = x[ok], k[ok]
+        hit = held.iloc[k]
+        return pd.DataFrame({"sample_id": x, "bundle_id": hit["bundle_id"].to_numpy(), "text_pos": x - s[k], "byte_offset": hit["byte_offset"].to_numpy(), "byte_len": hit["byte_len"].to_numpy()})
+
+    return asked.groupBy("cell").cogroup(slices.groupBy("cell")).applyInPandas(search, "sample_id long, bundle_id long, text_pos long, byte_offset long, byte_len long")
+
+
 def prune_one(index: DataFrame, sample_id: int) -> DataFrame:
     """A single id: predicates on start and end that reach the scan, where row groups are skipped by their statistics."""
     hit = index.where((F.col("start_idx") <= sample_id) & (F.col("end_idx") >= sample_id)).limit(1)
     return hit.select(F.lit(sample_id).cast("long").alias("sample_id"), "bundle_id", (F.lit(sample_id) - F.col("start_idx")).alias("text_pos"), "byte_offset", "byte_len")
 
 
-STRATEGIES = {"search": range_search, "theta": range_theta, "binned": range_binned, "asof": range_asof}
+STRATEGIES = {"search": range_search, "theta": range_theta, "binned": range_binned, "asof": range_asof, "cogroup": range_cogroup}
 
 
 def locate(requests: DataFrame, index: DataFrame, header: dict, force: str | None = None, how: str = "inner", strict: bool = False) -> DataFrame:
-    """Picks the rule from the header (kind, ratio); ``force`` names one: direct, ratio, hash, search, theta, binned, asof."""
+    """Picks the rule from the header (kind, ratio); ``force`` names one: direct, ratio, hash, search, theta, binned, asof,
+    cogroup."""
     rule = force or {FIXED: "ratio", HYBRID: "binned"}.get(header["kind"], "direct")
     if rule == "direct":
         out = direct(requests, index)

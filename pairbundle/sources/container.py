@@ -309,6 +309,23 @@ def read_container(spark, path: str):
     return spark.read.format("pairbundle").option("pushdown", allowed).load(path)
 
 
+def index_table(spark, path: str):
+    """shard and INDEX of every bundle, from the ends of the shards; offsets are places in the shard."""
+    from pyspark.sql import functions as F
+
+    names = [s["shard"] for s in read_shards(path)]
+    shards = spark.createDataFrame([(n,) for n in names], "shard string").repartition(max(1, min(len(names), 4 * spark.sparkContext.defaultParallelism)))
+
+    def load(batches):
+        store, base = filesystem(path)
+        for b in batches:
+            for name in b.column(0).to_pylist():
+                for part in read_index(store, f"{base}/{name}").to_batches():
+                    yield pa.RecordBatch.from_arrays([pa.array([name] * part.num_rows, pa.string()), *part.columns], names=["shard", *INDEX])
+
+    return shards.mapInArrow(load, "shard string, " + ", ".join(f"{c} long" for c in INDEX)).select("shard", *[F.col(c) for c in INDEX])
+
+
 def validate(index):
     """Rows of the index (bundle_id, start_idx, end_idx, byte_offset, byte_len) that break order, contiguity or tiling: none."""
     from pyspark.sql import Window

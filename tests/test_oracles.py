@@ -3,7 +3,7 @@
 import pytest
 
 from pairbundle.operators import relational
-from pairbundle.plans import workloads
+from pairbundle.plans import variants, workloads  # noqa: F401  (variants register with workloads)
 
 QUERIES, ORACLES = workloads.QUERIES | relational.QUERIES, workloads.ORACLES | relational.ORACLES
 
