@@ -12,7 +12,7 @@ from pairbundle.operators.relational import ORACLES as RELATIONAL
 from pairbundle.plans import sql
 from pairbundle.plans.workloads import ORACLES, PUBLISHED, SCALE, SUMMARY, TRAINING, _values, found, index, query, rounded, stats
 from pairbundle.sources import legacy
-from pairbundle.sources.container import index_table, read_container, write_container
+from pairbundle.sources.container import index_table, load_pairs, read_container, write_container
 from pairbundle.sources.corpora import corpus, table
 from pairbundle.sources.shared import shared_path, staged
 from pairbundle.streaming import ingest, windows
@@ -140,6 +140,28 @@ def encode_decode(spark, sf_dir):
     return back.select("bundle_id", "byte_len", F.md5("media").alias("fingerprint"), F.size("texts").cast("long").alias("n_texts"), F.md5(F.array_join("texts", "\n")).alias("texts_md5"))
 
 
+_LOADED = ("page_links", "conv_turns", "doc_cap5", "doc_copies")
+
+
+def _loaded_sql(name: str) -> str:
+    texts = f"SELECT md5(media) AS fingerprint, text, row_number() OVER (PARTITION BY md5(media) ORDER BY pair_ord) - 1 AS pos FROM ({sql.PAIRS[name]})"
+    return f"SELECT s.sample_id, s.bundle_id, t.fingerprint AS media_md5, t.text FROM ({sql.samples(name)}) s JOIN ({sql.index(name)}) i ON s.bundle_id = i.bundle_id JOIN ({texts}) t ON t.fingerprint = i.fingerprint AND t.pos = s.text_pos"
+
+
+def _load(name: str):
+    @query(_loaded_sql(name), f"container_load_{name}")
+    def run(spark, sf_dir):
+        """Every id of an epoch, loaded from a written container."""
+        path = shared_path(spark, "box")
+        write_container(convert.bundles(corpus(spark, sf_dir, name)), path)
+        ids = index_table(spark, path).select(F.explode(F.sequence("start_idx", F.greatest("start_idx", "end_idx"))).alias("sample_id"))
+        return load_pairs(ids, path).select("sample_id", "bundle_id", F.md5("media").alias("media_md5"), "text")
+
+
+for _name in _LOADED:
+    _load(_name)
+
+
 # Lookup
 
 

@@ -326,6 +326,47 @@ def index_table(spark, path: str):
     return shards.mapInArrow(load, "shard string, " + ", ".join(f"{c} long" for c in INDEX)).select("shard", *[F.col(c) for c in INDEX])
 
 
+def load_pairs(requests, path: str, stretch_bytes: int = 64 << 20):
+    """Pairs for a batch of requests (sample_id), each bundle read once: sample_id, bundle_id, media, text.
+
+    Ids are found in the shards' indexes by the rule of the header; what is shuffled is ids and places, by stretches of the shards, and
+    never media. Tasks read runs of neighbouring bundles."""
+    from pyspark.sql import functions as F
+
+    from pairbundle.operators.locate import locate
+
+    spark = requests.sparkSession
+    index = index_table(spark, path).withColumn("byte_offset", F.struct("shard", "byte_offset"))
+    found = locate(requests.select("sample_id"), index, read_header(path)).select("sample_id", "bundle_id", "text_pos", "byte_offset.shard", "byte_offset.byte_offset", "byte_len")
+    dealt = found.repartition("shard", F.floor(F.col("byte_offset") / stretch_bytes)).sortWithinPartitions("shard", "byte_offset", "sample_id")
+
+    def fetch(batches):
+        store, base = filesystem(path)
+        name, file = None, None
+        for b in batches:
+            ids, bundle, place, shard, at, size = (c.to_pylist() for c in b.columns)
+            low = 0
+            while low < len(ids):
+                high, wide = low + 1, size[low]
+                while high < len(ids) and shard[high] == shard[low] and at[high] <= at[high - 1] + size[high - 1] and wide + size[high] <= RUN_BYTES:
+                    wide += size[high]  # media go out once for each pair
+                    high += 1
+                if shard[low] != name:
+                    name = shard[low]
+                    file = store.open_input_file(f"{base}/{name}")
+                data = file.read_at(at[high - 1] + size[high - 1] - at[low], at[low])
+                media, texts, last = [], [], None
+                for k in range(low, high):
+                    if at[k] != last:
+                        last, held = at[k], decode_bundle(data, at[k] - at[low])
+                    media.append(held[0])
+                    texts.append(held[1][place[k]] if held[1] else None)
+                yield pa.RecordBatch.from_arrays([pa.array(ids[low:high], pa.int64()), pa.array(bundle[low:high], pa.int64()), pa.array(media, pa.binary()), pa.array(texts, pa.string())], names=["sample_id", "bundle_id", "media", "text"])
+                low = high
+
+    return dealt.mapInArrow(fetch, "sample_id long, bundle_id long, media binary, text string")
+
+
 def validate(index):
     """Rows of the index (bundle_id, start_idx, end_idx, byte_offset, byte_len) that break order, contiguity or tiling: none."""
     from pyspark.sql import Window
