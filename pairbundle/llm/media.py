@@ -185,9 +185,10 @@ def media_columns(docs: DataFrame, width: int = 576, most_broadcast: int = 1_000
     else:
         payloads = texts.join(others, ["doc", "key"], "left_anti")
     index = staged(write_members(payloads, root, width), "media-index")
-    index = index.dropDuplicates(["key"])  # rows of equal doc_id and text may write twice
+    # Rows of equal doc_id and text may write twice. The sizes of groups join here, where rows are dealt by key and still narrow.
+    index = index.dropDuplicates(["key"]).join(first.select("key", "rows"), "key")
     known = features(header_columns(index.repartition("shard").sortWithinPartitions("shard", "offset"), root), root)
-    known = staged(known.join(first.select("key", "rows"), "key"), "media-known", narrow=True)
+    known = staged(known, "media-known", narrow=True)
     return with_group_facts(keyed, known, ["key"], "rows").drop("doc", "key", "rows")
 
 
